@@ -2,9 +2,15 @@
 
 from __future__ import annotations
 
+from wfpath.llm import mixing
+from wfpath.llm.quality_model import op3_quality_model
 from wfpath.llm.quality_rules import op2_quality_rules
+from wfpath.llm.url_filter import op4_url_filter
 
 QUERIES = {
+    "op1_source_mix": mixing.op1_source_mix,
     "op2_quality_rules": op2_quality_rules,
+    "op3_quality_model": op3_quality_model,
+    "op4_url_filter": op4_url_filter,
 }
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {"op1_source_mix": mixing.ORACLE}

@@ -47,7 +47,7 @@ def running_total(df: DataFrame, bucket: str, order: list[Column | str], amount:
     totals = df.groupBy(*keys).agg(F.sum(amount).alias("_sum"))
     whole = Window.partitionBy(*groups).orderBy(bucket) if groups else Window.orderBy(bucket)
     before = totals.withColumn("_base", F.coalesce(F.sum("_sum").over(whole.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))).drop("_sum")
-    inner = Window.partitionBy(*keys).orderBy(*order)
+    inner = Window.partitionBy(*keys).orderBy(*order).rowsBetween(Window.unboundedPreceding, Window.currentRow)
     out = df.withColumn(name, F.sum(amount).over(inner) - F.col(amount))
     on = None
     for k in keys:
