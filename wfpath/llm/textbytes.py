@@ -108,23 +108,48 @@ def word_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray, lower: b
     return out
 
 
-def windows(hashes: np.ndarray, first: np.ndarray, size: int, second: bool = False) -> tuple[np.ndarray, np.ndarray]:
-    """Hashes of all windows of ``size`` words that lie within one text, and the index of each one's first word."""
+def rolling(hashes: np.ndarray, size: int, second: bool = False) -> np.ndarray:
+    """Hashes of all windows of ``size`` neighbours, also of those that cross from one text into the next."""
     n = len(hashes)
     if n < size:
-        return np.zeros(0, U64), np.zeros(0, np.int64)
+        return np.zeros(0, U64)
     up, down = (_WORDS2 if second else _WORDS).to(n + 1)
     sums = np.zeros(n + 1, U64)
     np.cumsum(hashes * up[:n], out=sums[1:])
-    whole = mix((sums[size:] - sums[:-size]) * down[: n - size + 1])
-    keep = np.ones(n - size + 1, bool)
-    # a window that begins fewer than ``size`` words before the end of its text leaves it
-    for back in range(1, size):
-        over = first[1:] - back
-        keep[over[(over >= 0) & (over < len(keep))]] = False
-    # an empty or short text has its windows' starts in the text before it; those are dropped likewise
-    at = np.flatnonzero(keep)
-    return whole[at], at
+    return mix((sums[size:] - sums[:-size]) * down[: n - size + 1])
+
+
+def spans(hashes: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """Hashes of the ranges [start, end) of a sequence of hashes."""
+    up, down = _WORDS2.to(len(hashes) + 1)
+    sums = np.zeros(len(hashes) + 1, U64)
+    np.cumsum(hashes * up[: len(hashes)], out=sums[1:])
+    return mix((sums[ends] - sums[starts]) * down[starts] + (ends - starts).astype(U64))
+
+
+def inside(first: np.ndarray, size: int) -> np.ndarray:
+    """The starts from which ``size`` neighbours lie within one text; ``first`` holds the texts' bounds."""
+    counts = np.maximum(np.diff(first) - size + 1, 0)
+    ends = np.cumsum(counts)
+    return np.arange(int(ends[-1]) if len(ends) else 0) + np.repeat(first[:-1] - (ends - counts), counts)
+
+
+def windows(hashes: np.ndarray, first: np.ndarray, size: int, second: bool = False) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of all windows of ``size`` words that lie within one text, and the index of each one's first word."""
+    at = inside(first, size)
+    return rolling(hashes, size, second)[at], at
+
+
+def runs_of_minima(grams: np.ndarray, at: np.ndarray, width: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Neighbouring starts (of ``at``) whose windows of ``width`` grams have the same minimum: value, first start, number.
+
+    Equal windows have equal minima, so windows that are equal are in runs of the same value.
+    """
+    if not len(at):
+        return np.zeros(0, U64), at, at
+    low = sliding_min(grams, width)[at]
+    new = np.flatnonzero(np.r_[True, (low[1:] != low[:-1]) | (np.diff(at) != 1)])
+    return low[new], at[new], np.diff(np.r_[new, len(at)])
 
 
 def byte_grams(data: np.ndarray, size: int) -> np.ndarray:
