@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from wfpath.llm import mixing, packing, substring_dedup, suffix_dedup, token_files
+from wfpath.llm import mixing, ngram_join, packing, substring_dedup, suffix_dedup, token_files
 from wfpath.llm.quality_model import op3_quality_model
 from wfpath.llm.quality_rules import op2_quality_rules
 from wfpath.llm.url_filter import op4_url_filter
@@ -12,6 +12,7 @@ QUERIES = {
     "op2_quality_rules": op2_quality_rules,
     "op3_quality_model": op3_quality_model,
     "op4_url_filter": op4_url_filter,
+    "op5_ngram_join": ngram_join.op5_ngram_join,
     "op6_token_files": token_files.op6_token_files,
     "op7_suffix_dedup": suffix_dedup.op7_suffix_dedup,
     "op8_best_fit_packing": packing.op8_best_fit_packing,
