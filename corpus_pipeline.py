@@ -1,10 +1,15 @@
-"""The corpus pipeline: stages over documents, each written and read again."""
+"""The corpus pipeline: stages over documents, each written as Parquet and read again.
+
+Quality rules drop documents, the n-gram join leaves one document of each group, suffix-array
+deduplication cuts later copies of long strings, mixing repeats or leaves out documents until
+every source has its share, and packing gives the token sequences.
+"""
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from wfpath.llm import quality_rules, shared
+from wfpath.llm import mixing, ngram_join, packing, quality_rules, shared, suffix_dedup
 
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -12,7 +17,28 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return quality_rules.filtered(docs, shared.load(spark, sf_dir, "labels"))
 
 
-STAGES = [("quality", quality)]
+def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Of each group of documents linked by their shingles, the one with the smallest id."""
+    return ngram_join.first_of_each(docs)
+
+
+def repeated_strings(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Texts without later copies of strings of 200 bytes; the first copy stays."""
+    return suffix_dedup.deduplicated(docs, keep_first=True)
+
+
+def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents as often as the mix takes them, whole."""
+    return mixing.mixed(docs, whole=True)
+
+
+def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Pieces of the documents' ids and the sequence that each is packed in."""
+    return packing.packed(docs.select("doc_id", "text"))
+
+
+STAGES = [("quality", quality), ("near_duplicates", near_duplicates), ("repeated_strings", repeated_strings), ("mix", mix), ("pack", pack)]
+#: No SQL: calibrated cutoffs, suffix order and the packing program are beyond it.
 ORACLE_SQL = None
 
 
