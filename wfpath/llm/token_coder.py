@@ -24,74 +24,72 @@ U64, U32 = np.uint64, np.uint32
 BLOCK = 4096
 MAGIC = b"CM1\0"
 TOTAL = 1 << 16
-FIRST_BITS, SECOND_BITS, SLOT_BITS = 10, 12, 9
+FIRST_BITS, SECOND_BITS, SLOT_BITS = 9, 10, 9
 NONE = 0xFFFFFFFF
 LOW_MASK, RENEW = U64((1 << 48) - 1), U64(1 << 32)
 
 
 class Model:
-    """Predictions and event estimates of n blocks; every array has a column for each block."""
+    """Predictions and event estimates of n blocks, side by side in flat tables."""
 
     def __init__(self, n: int) -> None:
         self.n = n
-        self.first, self.second = np.full(n << FIRST_BITS, NONE, U32), np.full(n << SECOND_BITS, NONE, U32)
-        self.trust1, self.trust2 = np.zeros(n << FIRST_BITS, np.int8), np.zeros(n << SECOND_BITS, np.int8)
+        # a predicted id and, in the low two bits, how well it has done
+        self.first, self.second = np.full(n << FIRST_BITS, NONE << 2, np.int64), np.full(n << SECOND_BITS, NONE << 2, np.int64)
         self.recent = np.full(n << SLOT_BITS, NONE, U32)
         lanes = np.arange(n, dtype=np.int64)
-        self.base1, self.base2, self.base0 = lanes << FIRST_BITS, lanes << SECOND_BITS, lanes << SLOT_BITS
-        self.lanes = lanes
-        # counts[estimate]: [context, event, block], flat, with their sums by context
-        self.contexts = (1, 4, 4)
-        self.counts = [np.full(c * 4 * n, 0.5) for c in self.contexts]
-        self.sums = [np.full(c * n, 2.0) for c in self.contexts]
+        self.base1, self.base2, self.base0, self.lanes = lanes << FIRST_BITS, lanes << SECOND_BITS, lanes << SLOT_BITS, lanes
+        # how often each event was seen, by context: a row of four for every context and block
+        self.counts = [np.full((c * n, 4), 0.5) for c in (1, 4, 4)]
+        self.sums = [np.full(c * n, 2.0) for c in (1, 4, 4)]
         self.weights = [np.full(n, 1.0 / 3) for _ in range(3)]
+        self.edges = np.zeros((5, n), np.int64)
+        self.edges[4] = TOTAL
         self.a = self.b = np.zeros(n, np.int64)
 
     def slots(self, ids: np.ndarray) -> np.ndarray:
         return ((ids * 40503) >> 3) & ((1 << SLOT_BITS) - 1)
 
-    def predict(self) -> list[np.ndarray]:
+    def predict(self) -> np.ndarray:
         """Cumulative frequencies of the four events, of TOTAL; also finds the predictions."""
         n = self.n
         self.at1 = self.base1 + (((self.b * 2654435761) >> 7) & ((1 << FIRST_BITS) - 1))
         self.at2 = self.base2 + (((self.a * 2654435761 + self.b * 40503) >> 5) & ((1 << SECOND_BITS) - 1))
-        self.p1, self.p2 = self.first[self.at1].astype(np.int64), self.second[self.at2].astype(np.int64)
-        k1 = self.trust1[self.at1].astype(np.int64)
-        k2 = self.trust2[self.at2].astype(np.int64)
-        self.rows = [self.lanes, k1 * (4 * n) + self.lanes, k2 * (4 * n) + self.lanes]
-        self.at_sum = [self.lanes, k1 * n + self.lanes, k2 * n + self.lanes]
-        scaled = [self.weights[k] / self.sums[k][self.at_sum[k]] for k in range(3)]
-        total = self.weights[0] + self.weights[1] + self.weights[2]
-        edge = [np.zeros(n, np.int64)]
-        for e in range(3):
-            p = scaled[0] * self.counts[0][self.rows[0] + e * n] + scaled[1] * self.counts[1][self.rows[1] + e * n] + scaled[2] * self.counts[2][self.rows[2] + e * n]
-            edge.append(edge[-1] + 1 + (p / total * (TOTAL - 8)).astype(np.int64))
-        edge.append(np.full(n, TOTAL, np.int64))
-        return edge
-
-    def event(self, ids: np.ndarray) -> np.ndarray:
+        self.held1, self.held2 = self.first[self.at1], self.second[self.at2]
+        self.p1, self.p2 = self.held1 >> 2, self.held2 >> 2
+        self.rows = [self.lanes, (self.held1 & 3) * n + self.lanes, (self.held2 & 3) * n + self.lanes]
+        self.seen = [c[r] for c, r in zip(self.counts, self.rows, strict=True)]
+        self.total = [s[r] for s, r in zip(self.sums, self.rows, strict=True)]
+        scale = (TOTAL - 8) / (self.weights[0] + self.weights[1] + self.weights[2])
+        f0, f1, f2 = ((w * scale / t)[:, None] * c for w, t, c in zip(self.weights, self.total, self.seen, strict=True))
+        mixed = (f0 + f1 + f2).astype(np.int64)
+        edges = self.edges
+        np.add(mixed[:, 0], 1, out=edges[1])
+        np.add(edges[1] + 1, mixed[:, 1], out=edges[2])
+        np.add(edges[2] + 1, mixed[:, 2], out=edges[3])
+        return edges
+
+    def event(self, ids: np.ndarray, slots: np.ndarray) -> np.ndarray:
         """0: order 2 is right, 1: order 1, 2: the id is recent, 3: none of them."""
-        known = self.recent[self.base0 + self.slots(ids)] == ids
-        return np.where(self.p2 == ids, 0, np.where(self.p1 == ids, 1, np.where(known, 2, 3)))
+        return np.where(self.p2 == ids, 0, np.where(self.p1 == ids, 1, 3 - (self.recent[self.base0 + slots] == ids)))
 
-    def learn(self, event: np.ndarray, ids: np.ndarray) -> None:
-        step = event * self.n
+    def learn(self, event: np.ndarray, ids: np.ndarray, slots: np.ndarray) -> None:
         shares = []
         for k in range(3):
-            at = self.rows[k] + step
-            count = self.counts[k][at]
-            shares.append(count / self.sums[k][self.at_sum[k]])
-            self.counts[k][at] = count + 1.0
-            self.sums[k][self.at_sum[k]] += 1.0
-        mix = self.weights[0] * shares[0] + self.weights[1] * shares[1] + self.weights[2] * shares[2]
-        for k in range(3):
-            self.weights[k] = 0.02 + 0.94 * (self.weights[k] * shares[k] / mix)
-        for table, trust, at, predicted in ((self.first, self.trust1, self.at1, self.p1), (self.second, self.trust2, self.at2, self.p2)):
-            right = predicted == ids
-            t = trust[at]
-            table[at] = np.where(right | (t <= 1), ids, predicted).astype(U32)
-            trust[at] = np.where(right, np.minimum(t + 1, 3), np.where(t <= 1, 1, t - 1))
-        self.recent[self.base0 + self.slots(ids)] = ids
+            row, total = self.rows[k], self.total[k]
+            count = self.seen[k][self.lanes, event]
+            shares.append(count / total)
+            self.counts[k][row, event] = count + 1.0
+            self.sums[k][row] = total + 1.0
+        w = self.weights
+        w0, w1, w2 = w[0] * shares[0], w[1] * shares[1], w[2] * shares[2]
+        scale = 0.94 / (w0 + w1 + w2)
+        self.weights = [0.02 + w0 * scale, 0.02 + w1 * scale, 0.02 + w2 * scale]
+        for table, at, held, predicted in ((self.first, self.at1, self.held1, self.p1), (self.second, self.at2, self.held2, self.p2)):
+            trust = held & 3
+            # right: trusted more; wrong: trusted less, and replaced once it isn't trusted
+            table[at] = np.where(predicted == ids, held + (trust < 3), np.where(trust > 1, held - 1, (ids << 2) | 1))
+        self.recent[self.base0 + slots] = ids
         self.a, self.b = self.b, ids
 
 
@@ -99,16 +97,16 @@ class Writer:
     """A range coder for each block: 48-bit low end, 16-bit digits, carries settled at the end."""
 
     def __init__(self, n: int, steps: int) -> None:
-        self.low, self.range = np.zeros(n, U64), np.full(n, LOW_MASK)
+        self.low, self.range, self.lanes = np.zeros(n, U64), np.full(n, LOW_MASK), np.arange(n)
         self.digits = np.zeros((n, 3 * steps + 4), U32)
         self.used = np.zeros(n, np.int64)
 
     def put(self, start: np.ndarray, size: np.ndarray, rows: np.ndarray | slice) -> None:
         low, span = self.low[rows], self.range[rows]
         unit = span >> U64(16)
-        low = low + unit * start.astype(U64)
-        span = unit * size.astype(U64)
-        lanes = np.arange(len(self.low))[rows]
+        low = low + unit * start.view(U64)
+        span = unit * size.view(U64)
+        lanes = self.lanes[rows]
         over = np.flatnonzero(low > LOW_MASK)
         if len(over):
             self.digits[lanes[over], self.used[lanes[over]] - 1] += U32(1)
@@ -139,7 +137,7 @@ class Writer:
 class Reader:
     def __init__(self, digits: np.ndarray) -> None:
         n = len(digits)
-        self.digits, self.at = digits, np.full(n, 3, np.int64)
+        self.digits, self.at, self.lanes = digits, np.full(n, 3, np.int64), np.arange(n)
         d = digits[:, :3].astype(U64)
         self.value, self.range = (d[:, 0] << U64(32)) | (d[:, 1] << U64(16)) | d[:, 2], np.full(n, LOW_MASK)
 
@@ -149,11 +147,11 @@ class Reader:
     def take(self, start: np.ndarray, size: np.ndarray, rows) -> None:
         value, span = self.value[rows], self.range[rows]
         unit = span >> U64(16)
-        value = value - unit * start.astype(U64)
-        span = unit * size.astype(U64)
+        value = value - unit * start.view(U64)
+        span = unit * size.view(U64)
         small = np.flatnonzero(span < RENEW)
         if len(small):
-            lanes = np.arange(len(self.value))[rows][small]
+            lanes = self.lanes[rows][small]
             value[small] = (value[small] << U64(16)) | self.digits[lanes, self.at[lanes]].astype(U64)
             self.at[lanes] += 1
             span[small] <<= U64(16)
@@ -171,13 +169,13 @@ def encode(ids: np.ndarray, block: int = BLOCK) -> list[bytes]:
     padded[: len(ids)] = ids
     columns = np.ascontiguousarray(padded.reshape(n, block).T)
     wide = bool(ids.max() >= TOTAL)
-    model, out, whole = Model(n), Writer(n, block * (2 if wide else 1)), slice(None)
+    model, out, whole, lanes = Model(n), Writer(n, block * (2 if wide else 1)), slice(None), np.arange(n)
     for x in columns:
         edge = model.predict()
-        e = model.event(x)
-        start = np.where(e == 0, 0, np.where(e == 1, edge[1], np.where(e == 2, edge[2], edge[3])))
-        stop = np.where(e == 0, edge[1], np.where(e == 1, edge[2], np.where(e == 2, edge[3], TOTAL)))
-        out.put(start, stop - start, whole)
+        slots = model.slots(x)
+        e = model.event(x, slots)
+        start = edge[e, lanes]
+        out.put(start, edge[e + 1, lanes] - start, whole)
         more = np.flatnonzero(e >= 2)
         if len(more):
             y, known = x[more], e[more] == 2
@@ -185,8 +183,8 @@ def encode(ids: np.ndarray, block: int = BLOCK) -> list[bytes]:
                 fresh = more[~known]
                 out.put(x[fresh] >> 16, np.ones(len(fresh), np.int64), fresh)
             shift = 16 - SLOT_BITS
-            out.put(np.where(known, model.slots(y) << shift, y & 0xFFFF), np.where(known, 1 << shift, 1), more)
-        model.learn(e, x)
+            out.put(np.where(known, slots[more] << shift, y & 0xFFFF), np.where(known, 1 << shift, 1), more)
+        model.learn(e, x, slots)
     digits, used = out.end()
     found = []
     for i in range(n):
@@ -216,14 +214,13 @@ def decode(blocks: list[bytes]) -> np.ndarray:
     # blocks shorter than the longest were padded by the encoder or run on zeros here; what they yield then is dropped
     digits = np.pad(digits, ((0, 0), (0, (3 * steps if counts.min() < steps else 0))))
     out = np.zeros((steps, n), np.int64)
-    model, source, whole = Model(n), Reader(digits), slice(None)
+    model, source, whole, lanes = Model(n), Reader(digits), slice(None), np.arange(n)
     for step in range(steps):
         edge = model.predict()
         f = source.peek(whole)
         e = (f >= edge[1]).astype(np.int64) + (f >= edge[2]) + (f >= edge[3])
-        start = np.where(e == 0, 0, np.where(e == 1, edge[1], np.where(e == 2, edge[2], edge[3])))
-        stop = np.where(e == 0, edge[1], np.where(e == 1, edge[2], np.where(e == 2, edge[3], TOTAL)))
-        source.take(start, stop - start, whole)
+        start = edge[e, lanes]
+        source.take(start, edge[e + 1, lanes] - start, whole)
         x = np.where(e == 0, model.p2, model.p1)
         more = np.flatnonzero(e >= 2)
         if len(more):
@@ -239,7 +236,7 @@ def decode(blocks: list[bytes]) -> np.ndarray:
             source.take(np.where(known, slot << shift, f2), np.where(known, 1 << shift, 1), more)
             x[more] = np.where(known, model.recent[model.base0[more] + slot], (high << 16) | f2)
         out[step] = x
-        model.learn(e, x)
+        model.learn(e, x, model.slots(x))
     parts = []
     for i, (count, head) in enumerate(zip(counts, heads, strict=True)):
         own = out[:count, i].astype("<u4")
