@@ -78,13 +78,13 @@ class Lookup:
     def forward(self, mask: Column, number: Column) -> Column:
         """States after the relation, from the states of a mask."""
         rows = self.rows()
-        one = lambda acc, q: acc.bitwiseOR(F.when(F.shiftright(mask, q).bitwiseAND(F.lit(1)) == 1, F.get(rows, (number * self.states).cast("int") + q)).otherwise(F.lit(0)))
+        one = lambda acc, q: acc.bitwiseOR(F.when(F.call_function("shiftright", mask, q).bitwiseAND(F.lit(1)) == 1, F.get(rows, (number * self.states).cast("int") + q)).otherwise(F.lit(0)))
         return F.aggregate(F.sequence(F.lit(0), F.lit(self.states - 1)), F.lit(0).cast("bigint"), one)
 
     def backward(self, mask: Column, number: Column) -> Column:
         """States from which the relation leads into the mask."""
         rows = self.rows()
-        one = lambda acc, q: acc.bitwiseOR(F.when(F.get(rows, (number * self.states).cast("int") + q).bitwiseAND(mask) != 0, F.shiftleft(F.lit(1).cast("bigint"), q)).otherwise(F.lit(0)))
+        one = lambda acc, q: acc.bitwiseOR(F.when(F.get(rows, (number * self.states).cast("int") + q).bitwiseAND(mask) != 0, F.call_function("shiftleft", F.lit(1).cast("bigint"), q)).otherwise(F.lit(0)))
         return F.aggregate(F.sequence(F.lit(0), F.lit(self.states - 1)), F.lit(0).cast("bigint"), one)
 
 
