@@ -197,7 +197,8 @@ def ifq_index(tags: list[str], lookup, nodes: DataFrame, spec: Spec, l1: DataFra
         return reached(l1, l2)
     out = None
     for t in tags:
-        pairs = lookup(t)
-        before = reached(l1 if out is None else ends(out, "dst"), ends(pairs, "src"))
-        out = concatenated(before if out is None else concatenated(out, before), pairs)
-    return concatenated(out, reached(ends(out, "dst"), l2))
+        # each hop is written once, as the next one reads it twice
+        pairs = cut(lookup(t))
+        before = cut(reached(l1 if out is None else ends(out, "dst"), ends(pairs, "src")))
+        out = cut(concatenated(before if out is None else concatenated(out, before), pairs))
+    return concatenated(out, cut(reached(ends(out, "dst"), l2)))

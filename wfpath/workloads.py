@@ -1,7 +1,302 @@
-"""Named workloads and their SQL."""
+"""Named workloads: each is a query over the tables and, where SQL can say it, its DuckDB text.
+
+The SQL walks the run and the automaton together over edges that are derived without labels, so
+it shares nothing with the methods it checks but the automaton.
+"""
 
 from __future__ import annotations
 
-FLAGSHIP = ""
-QUERIES: dict = {}
-ORACLES: dict = {}
+from collections.abc import Callable
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from wfpath import measures
+from wfpath.operators import allpairs, baseline, general
+from wfpath.plans import rpq
+from wfpath.plans.safety import compile_rpq, is_safe
+from wfpath.sources import runs
+from wfpath.sources.runs import CARRIERS
+from wfpath.streaming import labels as streams
+
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
+ORACLES: dict[str, str] = {}
+FLAGSHIP = "fork_star_state_set"
+
+
+def walk_sql(carrier: str, query: str, l1: str = "TRUE", l2: str = "TRUE", select: str = "SELECT DISTINCT run_id, src, node_id AS dst FROM hits") -> str:
+    """The product walk of a query as recursive SQL; ``l1`` and ``l2`` are conditions on node_id and module."""
+    c = CARRIERS[carrier]
+    dfa = rpq.compile_(rpq.rewrite(rpq.parse(query, c.spec.tags)), c.spec.tags)
+    delta = ", ".join(f"({q}, '{t}', {r})" for q, t, r in dfa.table()) or "(-1, '', -1)"
+    finals = ", ".join(map(str, sorted(dfa.finals))) or "-1"
+    module = "CASE WHEN node_id LIKE '%:_' THEN node_id[1] ELSE regexp_extract(node_id, '[^.]+$') END"
+    return f"""
+WITH RECURSIVE edges AS (SELECT * FROM ({c.duckdb()}) AS e0),
+delta(q, tag, q2) AS (VALUES {delta}),
+nodes AS (SELECT run_id, node_id, {module} AS module FROM (SELECT run_id, src AS node_id FROM edges UNION SELECT run_id, dst FROM edges) AS n0),
+l1 AS (SELECT run_id, node_id FROM nodes WHERE {l1}),
+l2 AS (SELECT run_id, node_id FROM nodes WHERE {l2}),
+g AS (SELECT run_id, src, q, dst, q2 FROM edges JOIN delta USING (tag)),
+walk(run_id, src, node_id, q) AS (
+  SELECT run_id, node_id, node_id, 0 FROM l1
+  UNION SELECT w.run_id, w.src, g.dst, g.q2 FROM walk AS w JOIN g ON g.run_id = w.run_id AND g.src = w.node_id AND g.q = w.q),
+hits AS (SELECT DISTINCT w.run_id, w.src, w.node_id FROM walk AS w JOIN l2 ON l2.run_id = w.run_id AND l2.node_id = w.node_id WHERE w.q IN ({finals}))
+{select}
+"""
+
+
+def _within(modules: str | None) -> str:
+    return "TRUE" if modules is None else "module IN (" + ", ".join(f"'{m}'" for m in modules.split()) + ")"
+
+
+def _list(nodes: DataFrame, modules: str | None) -> DataFrame | None:
+    return None if modules is None else nodes.where(F.col("module").isin(modules.split())).select("run_id", "node_id")
+
+
+def pairs(key: str, carrier: str, query: str, methods: str, l1: str | None = None, l2: str | None = None) -> None:
+    """All-pairs workloads, one for each method; the key of the first is ``key`` if only one is named."""
+    for m in methods.split():
+
+        def run(spark: SparkSession, sf_dir: str, m=m) -> DataFrame:
+            data = CARRIERS[carrier].build(spark, sf_dir)
+            return general.evaluate(data, query, _list(data.nodes, l1), _list(data.nodes, l2), m)
+
+        name = key if len(methods.split()) == 1 else f"{key}_{m}"
+        QUERIES[name], ORACLES[name] = run, walk_sql(carrier, query, _within(l1), _within(l2))
+
+
+def outputs(key: str, carrier: str, query: str, l1: str | None = None, l2: str | None = None) -> None:
+    """The grouped method's other outputs: counts by run, runs with a match, sources, targets."""
+    selects = {
+        "count": "SELECT run_id, count(*) AS n FROM hits GROUP BY run_id",
+        "exists": "SELECT DISTINCT run_id FROM hits",
+        "sources": "SELECT DISTINCT run_id, src AS node_id FROM hits",
+        "targets": "SELECT DISTINCT run_id, node_id FROM hits",
+    }
+    for out, select in selects.items():
+
+        def run(spark: SparkSession, sf_dir: str, out=out) -> DataFrame:
+            data = CARRIERS[carrier].build(spark, sf_dir)
+            return allpairs.state_set(data.nodes, compile_rpq(data.spec, query), _list(data.nodes, l1), _list(data.nodes, l2), out)
+
+        QUERIES[f"{key}_{out}"], ORACLES[f"{key}_{out}"] = run, walk_sql(carrier, query, _within(l1), _within(l2), select)
+
+
+def probes(key: str, carrier: str, query: str, l1: str, l2: str, method: str = "labels") -> None:
+    """Pairwise workloads: every pair of the named modules' nodes of a run, decided one by one."""
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        data = CARRIERS[carrier].build(spark, sf_dir)
+        u = _list(data.nodes, l1).select("run_id", F.col("node_id").alias("src"))
+        v = _list(data.nodes, l2).select("run_id", F.col("node_id").alias("dst"))
+        if method == "arrays":
+            from wfpath.operators import pairwise
+
+            return pairwise.holds(u.join(v, "run_id"), data.nodes, compile_rpq(data.spec, query), "arrays")
+        return general.holds(data, query, u.join(v, "run_id"), method)
+
+    select = "SELECT l1.run_id, l1.node_id AS src, l2.node_id AS dst, hits.src IS NOT NULL AS holds FROM l1 JOIN l2 USING (run_id) LEFT JOIN hits ON hits.run_id = l1.run_id AND hits.src = l1.node_id AND hits.node_id = l2.node_id"
+    QUERIES[key], ORACLES[key] = run, walk_sql(carrier, query, _within(l1), _within(l2), select)
+
+
+def values(key: str, columns: str, rows: list[tuple], make: Callable[[SparkSession, str], DataFrame]) -> None:
+    """A workload whose answer is a fixed table."""
+    text = ", ".join("(" + ", ".join(f"'{x}'" if isinstance(x, str) else str(x).upper() if isinstance(x, bool) else str(x) for x in r) + ")" for r in rows)
+    QUERIES[key], ORACLES[key] = make, f"SELECT * FROM (VALUES {text}) AS t({columns})"
+
+
+# ---- the worked example ------------------------------------------------------------------------
+SAFE_METHODS = "nested filtered state_set walk joins"
+pairs("example_plus", "example", "A+", SAFE_METHODS)
+pairs("example_single", "example", "A", "state_set")
+pairs("example_pass_e", "example", "_*.e._*", "nested filtered state_set index index_nested rare_tag")
+pairs("example_star", "example", "a*", "state_set joins_linear joins joins_double decompose")
+pairs("example_unsafe_tag", "example", "e", "joins decompose")
+pairs("example_unsafe_pass", "example", "_*.a._*", "joins rare_tag decompose decompose_runs decompose_bottom_up")
+pairs("example_reach", "example", "_*", "nested filtered state_set")
+#: Verdicts of the example's queries.
+_EXAMPLE_SAFE = [("A+", True), ("A", True), ("_*.e._*", True), ("e", False), ("_*.a._*", False), ("_*", True), ("a*", True)]
+values("example_safety", "query, safe", _EXAMPLE_SAFE, lambda s, d: s.createDataFrame([(q, is_safe(runs.EXAMPLE, q)) for q, _ in _EXAMPLE_SAFE], "query string, safe boolean"))
+
+# ---- safety of the carriers' queries -----------------------------------------------------------
+#: Tags whose passing query is safe, for each carrier; those of all other tags are unsafe.
+_SAFE_TAGS = {
+    "events": "begin arrive STEPS SESS", "orders": "open accept ORDERS", "full_orders": "open accept ORDERS LINES pick pack ship", "documents": "source read tokenise",
+    "talks": "start", "supply": "hub gate collect NATION REGION", "crawl": "seed fetch HOPS",
+}
+#: Tags whose star is unsafe.
+_UNSAFE_STARS = {"events": "click view", "orders": "", "full_orders": "", "documents": "", "talks": "configure hear", "supply": "load", "crawl": "fetch"}
+_ALL_TAGS = {
+    "events": "begin arrive STEPS SESS VISIT STEP click view signup verify purchase charge ship error retry", "orders": "open accept ORDERS LINE LINES ORDER hold inspect pack pick refund ship void",
+    "full_orders": "open accept ORDERS LINES pick pack ship LINE ORDER hold inspect refund", "documents": "source read tokenise DOC FORK split translate",
+    "talks": "start EVEN ODD TURN configure hear note say think", "supply": "hub gate collect NATION REGION SUP SUPS audit idle load split", "crawl": "seed fetch HOPS HOP upgrade",
+}
+_CATALOGUE = [(c, f"_*.{t}._*", t in _SAFE_TAGS[c].split()) for c in _SAFE_TAGS for t in _ALL_TAGS[c].split()]
+_CATALOGUE += [(c, f"{t}*", t not in _UNSAFE_STARS[c].split()) for c in _SAFE_TAGS for t in _ALL_TAGS[c].split()]
+values("safety_catalogue", "carrier, query, safe", _CATALOGUE, lambda s, d: s.createDataFrame([(c, f"{q}", is_safe(CARRIERS[c].spec, q)) for c in _SAFE_TAGS for t in CARRIERS[c].spec.tags for q in (f"_*.{t}._*", f"{t}*")], "carrier string, query string, safe boolean"))
+#: Longer passing queries and their verdicts.
+_LONGER = [
+    ("events", "begin arrive STEPS", True), ("events", "arrive STEPS", True), ("events", "begin SESS", True), ("events", "arrive arrive", False), ("events", "STEPS arrive", False),
+    ("orders", "open accept ORDERS", True), ("orders", "accept pick", False), ("full_orders", "accept pick ship", True), ("full_orders", "open accept pick pack ship LINES ORDERS", True),
+    ("full_orders", "ship pick", False), ("documents", "source read tokenise", True), ("documents", "split read", False), ("talks", "start TURN", False), ("talks", "note note", False),
+    ("supply", "hub gate NATION REGION", True), ("supply", "gate load", False), ("crawl", "seed fetch HOPS", True),
+]
+values("safety_longer", "carrier, tags, safe", _LONGER, lambda s, d: s.createDataFrame([(c, t, is_safe(CARRIERS[c].spec, rpq.ifq(t.split()))) for c, t, _ in _LONGER], "carrier string, tags string, safe boolean"))
+values("safety_narrowing", "carrier, safe", [("orders", False), ("full_orders", True)], lambda s, d: s.createDataFrame([(c, is_safe(CARRIERS[c].spec, "_*.pick._*")) for c in ("orders", "full_orders")], "carrier string, safe boolean"))
+_DEEP_ORDER = "open accept pick pack ship LINES ORDERS".split()
+values("safety_by_k", "k, safe", [(k, True) for k in range(8)], lambda s, d: s.createDataFrame([(k, is_safe(runs.FULL_ORDERS, rpq.ifq(_DEEP_ORDER[:k]))) for k in range(8)], "k int, safe boolean"))
+#: Size, modules, composite modules, productions, recursive productions.
+_STATISTICS = [("deep", 166, 112, 16, 23, 7), ("branchy", 105, 77, 11, 15, 5)]
+
+
+def _statistics(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from wfpath.plans.spec import branchy_like, deep_like
+
+    return spark.createDataFrame([(n, *s.statistics.values()) for n, s in (("deep", deep_like()), ("branchy", branchy_like()))], "name string, size int, modules int, composite int, productions int, recursive int")
+
+
+values("spec_statistics", "name, size, modules, composite, productions, recursive", _STATISTICS, _statistics)
+
+# ---- pairwise ----------------------------------------------------------------------------------
+probes("pairwise_ifq_events", "events", "_*.begin._*.arrive._*.STEPS._*", "begin arrive", "leave end")
+probes("pairwise_ifq_orders", "full_orders", "_*.accept._*.pick._*.ship._*", "open accept", "settle close")
+probes("pairwise_ifq_supply", "supply", "_*.hub._*.gate._*.REGION._*", "hub gate", "port dock")
+probes("pairwise_ifq_supply_arrays", "supply", "_*.hub._*.gate._*.REGION._*", "hub gate", "port dock", "arrays")
+probes("pairwise_ifq_crawl_rare_tag", "crawl", "_*.seed._*", "seed", "store stop", "rare_tag")
+probes("pairwise_ifq_crawl_index", "crawl", "_*.seed._*.fetch._*", "seed", "store stop", "index")
+probes("pairwise_unsafe_crawl", "crawl", "_*.upgrade._*", "seed fetch", "stop", "auto")
+for _k in range(5):
+    probes(f"pairwise_ifq_k{_k}", "full_orders", str(rpq.ifq(_DEEP_ORDER[:_k])), "open", "settle close")
+
+# ---- all pairs, passing queries ----------------------------------------------------------------
+pairs("ifq_sel_supply", "supply", "_*.hub._*.REGION._*", "nested filtered state_set index")
+pairs("ifq_sel_orders", "full_orders", "_*.open._*.ORDERS._*", "filtered state_set", "open accept", "settle close")
+pairs("ifq_sel_documents", "documents", "_*.source._*.read._*", "nested filtered state_set index", "source", "sink")
+pairs("ifq_sel_events", "events", "_*.begin._*.SESS._*", "nested state_set", "begin", "leave end")
+pairs("ifq_unsel_orders", "full_orders", "_*.pick._*.pack._*.ship._*", "filtered state_set", "accept", "settle")
+pairs("ifq_unsel_documents", "documents", "_*.read._*.tokenise._*", "nested state_set index", "split read", "gather sink")
+pairs("ifq_unsel_events", "events", "_*.arrive._*.STEPS._*", "nested filtered state_set", "arrive", "leave")
+outputs("ifq_orders", "full_orders", "_*.accept._*.pick._*", "accept", "settle")
+outputs("ifq_documents", "documents", "_*.read._*", "split read", "gather sink")
+
+# ---- all pairs, stars --------------------------------------------------------------------------
+pairs("fork_star", "documents", "split*", "nested filtered state_set joins joins_linear joins_double")
+pairs("supply_star", "supply", "split*", "nested filtered state_set joins")
+pairs("verify_star", "events", "verify*", "state_set joins", "verify signup", "ack verify signup")
+
+# ---- general queries ---------------------------------------------------------------------------
+pairs("general_mix_1", "events", "_*.error._*", "decompose rare_tag", "begin", "end")
+pairs("general_mix_2", "events", "click.(STEP.click)*", "joins decompose_runs", "click", "ack")
+pairs("general_mix_3", "documents", "split*.(_*.translate._*)", "decompose decompose_runs decompose_bottom_up", "split", "sink")
+pairs("general_mix_4", "full_orders", "_*.(hold|inspect)._*", "decompose", "open", "close")
+pairs("general_mix_5", "orders", "accept.pick.pack.ship.inspect.refund", "joins decompose_runs")
+pairs("general_mix_6", "talks", "_*.think._*", "walk joins decompose decompose_runs", "start hear", "log stop")
+pairs("general_mix_7", "supply", "_*.audit._*", "joins rare_tag decompose decompose_runs decompose_bottom_up auto")
+pairs("general_mix_8", "crawl", "_*.upgrade._*", "rare_tag decompose decompose_runs auto", "seed fetch", "store stop")
+
+# ---- other uses --------------------------------------------------------------------------------
+pairs("intro_events", "events", "arrive.((click|view).STEP)*.(click|view).STEPS._*.SESS", "decompose_runs", "arrive", "end")
+pairs("intro_orders", "full_orders", "accept.(pick|pack|hold|ship|LINE)+.LINES._*.ORDERS", "decompose_runs", "accept", "close")
+pairs("reach_orders", "full_orders", "_*", "state_set", "accept", "refund")
+pairs("reach_supply", "supply", "_*", "nested filtered state_set", "load", "port")
+pairs("choice_orders", "full_orders", "pick.pack.ship.inspect.refund", "joins", "pick", "done")
+pairs("conv_cycle_start", "talks", "_*.start._*", "nested filtered state_set")
+pairs("conv_cycle_notes", "talks", "_*.note._*.note._*", "joins decompose_runs", "start hear", "stop log")
+pairs("conv_cycle_say", "talks", "_*.think.say.TURN._*", "decompose_runs", "start hear think", "stop log")
+pairs("conv_cycle_turns", "talks", "((hear|configure).TURN.note?)+", "joins joins_double decompose")
+pairs("crawl_reach", "crawl", "_*", "state_set", "seed", "store stop")
+
+
+def lineage(key: str, chosen_sql: str, make: Callable[[SparkSession, str], DataFrame]) -> None:
+    """Read nodes of chosen documents (run_id, doc_id) to the outputs of their source."""
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        data = CARRIERS["documents"].build(spark, sf_dir)
+        l1 = make(spark, sf_dir).select(F.col("source").alias("run_id"), F.concat_ws(".", "source", F.col("doc_id").cast("string"), F.lit("read")).alias("node_id"))
+        return allpairs.state_set(data.nodes, compile_rpq(data.spec, "_*.tokenise._*"), l1, _list(data.nodes, "gather sink"))
+
+    QUERIES[key] = run
+    ORACLES[key] = walk_sql("documents", "_*.tokenise._*", f"node_id IN (SELECT source || '.' || CAST(doc_id AS VARCHAR) || '.read' FROM ({chosen_sql}))", _within("gather sink"))
+
+
+def _contaminated(spark: SparkSession, sf_dir: str) -> DataFrame:
+    # the benchmark is small by nature; past 100,000 items it would need an n-gram index
+    items = runs.table(spark, sf_dir, "benchmark").select(F.col("text").alias("item"))
+    if items.limit(100_001).count() > 100_000:
+        raise ValueError("the benchmark is too large to broadcast")
+    docs = runs.table(spark, sf_dir, "documents")
+    return docs.join(F.broadcast(items), F.contains("text", "item"), "left_semi")
+
+
+lineage("contamination_lineage", "SELECT source, doc_id FROM documents WHERE EXISTS (SELECT 1 FROM benchmark b WHERE contains(documents.text, b.text))", _contaminated)
+lineage("quality_lineage", "SELECT source, doc_id FROM documents SEMI JOIN (SELECT * FROM labels WHERE quality = 1) USING (doc_id)", lambda s, d: runs.table(s, d, "documents").join(runs.table(s, d, "labels").where("quality = 1"), "doc_id", "left_semi"))
+lineage("cluster_lineage", "SELECT source, doc_id FROM documents SEMI JOIN (SELECT vec_id AS doc_id FROM embeddings WHERE label = 3) USING (doc_id)", lambda s, d: runs.table(s, d, "documents").join(runs.table(s, d, "embeddings").where("label = 3").select(F.col("vec_id").alias("doc_id")), "doc_id", "left_semi"))
+
+# ---- tables around the methods -----------------------------------------------------------------
+for _c in ("events", "documents", "orders", "full_orders", "talks", "supply", "crawl"):
+    QUERIES[f"run_edges_{_c}"], ORACLES[f"run_edges_{_c}"] = (lambda s, d, c=_c: CARRIERS[c].edges(s, d)), CARRIERS[_c].duckdb()
+    QUERIES[f"run_nodes_{_c}"] = lambda s, d, c=_c: CARRIERS[c].nodes(s, d).select("run_id", "node_id")
+    ORACLES[f"run_nodes_{_c}"] = f"WITH e AS (SELECT * FROM ({CARRIERS[_c].duckdb()}) AS e0) SELECT run_id, src AS node_id FROM e UNION SELECT run_id, dst FROM e"
+    QUERIES[f"tag_counts_{_c}"] = lambda s, d, c=_c: CARRIERS[c].edges(s, d).groupBy("tag").agg(F.count(F.lit(1)).alias("n"))
+    ORACLES[f"tag_counts_{_c}"] = f"SELECT tag, count(*) AS n FROM ({CARRIERS[_c].duckdb()}) AS e GROUP BY tag"
+    QUERIES[f"run_sizes_{_c}"] = lambda s, d, c=_c: measures.described(CARRIERS[c].build(s, d))
+    ORACLES[f"run_sizes_{_c}"] = f"""WITH e AS (SELECT * FROM ({CARRIERS[_c].duckdb()}) AS e0), n AS (SELECT run_id, count(*) AS n_nodes FROM (SELECT run_id, src FROM e UNION SELECT run_id, dst FROM e) AS x GROUP BY run_id)
+SELECT e.run_id, n_nodes, count(*) AS n_edges, count(DISTINCT tag) AS n_tags FROM e JOIN n ON n.run_id = e.run_id GROUP BY e.run_id, n_nodes"""
+
+
+def _product(spark: SparkSession, sf_dir: str) -> DataFrame:
+    c = CARRIERS["example"]
+    return baseline.product_graph(c.edges(spark, sf_dir), rpq.compile_(rpq.parse("_*.e._*"), c.spec.tags))
+
+
+QUERIES["product_graph_example"] = _product
+_dfa = rpq.compile_(rpq.parse("_*.e._*"), runs.EXAMPLE.tags)
+ORACLES["product_graph_example"] = f"SELECT run_id, src, q, dst, q2, e.tag FROM ({CARRIERS['example'].duckdb()}) AS e JOIN (VALUES {', '.join(str(x) for x in _dfa.table())}) AS d(q, tag, q2) ON d.tag = e.tag"
+QUERIES["measure_reachable_supply"] = lambda s, d: measures.reachable_pairs(CARRIERS["supply"].build(s, d)).select("run_id", "reachable", "tested")
+ORACLES["measure_reachable_supply"] = walk_sql("supply", "_*", select="SELECT run_id, count(*) AS reachable, (SELECT count(*) * count(*) FROM nodes) AS tested FROM hits GROUP BY run_id")
+QUERIES["measure_selectivity_documents"] = lambda s, d: measures.selectivity(general.evaluate(CARRIERS["documents"].build(s, d), "split*", method="state_set"))
+ORACLES["measure_selectivity_documents"] = walk_sql("documents", "split*", select="SELECT run_id, count(*) AS pairs FROM hits GROUP BY run_id")
+QUERIES["measure_diff_supply"] = lambda s, d: measures.diff(general.evaluate(CARRIERS["supply"].build(s, d), "split*", method="state_set"), general.evaluate(CARRIERS["supply"].build(s, d), "split*", method="walk"))
+ORACLES["measure_diff_supply"] = "SELECT '' AS run_id, '' AS src, '' AS dst, '' AS side WHERE FALSE"
+QUERIES["measure_label_lengths"] = lambda s, d: measures.label_lengths(CARRIERS["orders"].build(s, d))
+QUERIES["levels_documents"] = lambda s, d: _levels(s, d)
+QUERIES["augmented_example"] = lambda s, d: _augmented(s)
+QUERIES["stream_labels"] = lambda s, d: streams.with_keys(streams.stored(streams.labelled(streams.stream_of(s, d)), _folder(s)))
+QUERIES["stream_hourly"] = lambda s, d: streams.hourly(runs.table(s, d, "events"))
+ORACLES["stream_hourly"] = "SELECT date_trunc('hour', ts) AT TIME ZONE 'UTC' AS start, event_type, count(*) AS n FROM events GROUP BY 1, 2"
+QUERIES["event_sessions"] = lambda s, d: runs.events_ranked(runs.table(s, d, "events")).groupBy("run_id", "a").agg(F.count(F.lit(1)).alias("n"), F.min("us").alias("first_us"), F.max("us").alias("last_us"))
+ORACLES["event_sessions"] = """
+WITH e AS (SELECT 'u' || CAST(user_id AS VARCHAR) AS run_id, event_id, epoch_us(ts) AS us FROM events),
+g AS (SELECT *, CASE WHEN us - lag(us) OVER (PARTITION BY run_id ORDER BY us, event_id) <= 43200000000 THEN 0 ELSE 1 END AS fresh FROM e),
+s AS (SELECT *, CAST(sum(fresh) OVER (PARTITION BY run_id ORDER BY us, event_id ROWS UNBOUNDED PRECEDING) AS BIGINT) AS a FROM g)
+SELECT run_id, a, count(*) AS n, min(us) AS first_us, max(us) AS last_us FROM s GROUP BY run_id, a"""
+QUERIES["supply_rollup"] = lambda s, d: _rollup(s, d)
+ORACLES["supply_rollup"] = "SELECT r_name, n_name, count(*) AS suppliers FROM supplier JOIN nation ON s_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY ROLLUP (r_name, n_name)"
+
+
+def _folder(spark: SparkSession) -> str:
+    import os
+    import tempfile
+
+    return spark.conf.get("spark.checkpoint.dir", None) or "file://" + os.path.join(tempfile.gettempdir(), "wfpath-checkpoints")
+
+
+def _levels(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from wfpath.functions.labels import levels
+
+    c = CARRIERS["documents"]
+    x = levels(c.nodes(spark, sf_dir), c.spec)
+    return x.select("run_id", "node_id", "depth", F.lower(F.hex("prefix")).alias("prefix"), "colour")
+
+
+def _augmented(spark: SparkSession) -> DataFrame:
+    from wfpath.plans.safety import augment
+
+    return augment(spark, compile_rpq(runs.EXAMPLE, "_*.e._*"))["gr_inner"]
+
+
+def _rollup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    t = lambda n: runs.table(spark, sf_dir, n)
+    x = t("supplier").join(F.broadcast(t("nation")), F.col("s_nationkey") == F.col("n_nationkey")).join(F.broadcast(t("region")), F.col("n_regionkey") == F.col("r_regionkey"))
+    return x.rollup("r_name", "n_name").agg(F.count(F.lit(1)).alias("suppliers"))
