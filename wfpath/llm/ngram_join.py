@@ -11,13 +11,19 @@ would be too small to tell sets apart, and 1 elsewhere.  A set is indexed with a
 its own band.  If its partners may lie in the next band, it is looked up there with only as many
 segments as it needs, the largest first, as those meet the fewest false candidates.
 
+Shingles that many documents share would fill whole segments alike in documents that have
+nothing else in common.  A bounded sample names the most common ones; these have segments of
+their own, which get 0 as long as a set's other segments suffice, and are used only by sets that
+need them.  Which shingles are named changes the cost, never the result: a pair is found by the
+other segments if either set has enough of those, and else both sets use all.
+
 The number of segments leaves six standard deviations for empty ones.  A set that has too few
-filled segments all the same is found through its single shingles instead (``rest``), so nothing
+filled segments all the same is found through its single shingles instead (``_rest``), so nothing
 is lost.
 
-Equal sets are one class.  In a bucket of equal signatures members are compared with one pivot
-each, not with each other; only where a bucket still holds members of different components after
-that are the pairs across components compared too.  So a group of near copies costs about as
+Equal sets are one class.  In a bucket of equal signatures members are compared with a pivot,
+then with a member drawn for the bucket, not with each other; only where a bucket still holds
+members of different components after that are the pairs across components compared too.  So a group of near copies costs about as
 many comparisons as it has members, and no link between components is lost.
 
 Nulls and edge cases: a null text, or one without words, has no shingles, and links with nothing;
@@ -31,6 +37,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from wfpath.llm import shared
 from wfpath.llm import textbytes as tb
@@ -39,6 +46,7 @@ from wfpath.llm.suffix_dedup import LAST, keyed
 from wfpath.llm.tokens import spread
 
 WORDS, DELETIONS_UP_TO, MARGIN = 5, 60, 6.0
+SAMPLE, COMMON, COMMON_FROM, ROUNDS = 8192, 1 << 18, 3, 2
 U64 = np.uint64
 
 
@@ -117,30 +125,39 @@ def _signature(total: np.ndarray, band: np.ndarray, segment: np.ndarray) -> np.n
     return tb.mix(total + band.astype(U64) * U64(0xA24BAED4963EE407) + segment.astype(U64) * U64(0x9FB21C651E98DF25))
 
 
-def signatures(grams: np.ndarray, owner: np.ndarray, sizes: np.ndarray, band: np.ndarray, b: Bands, probe: bool):
-    """Signatures of sets in the given bands, the set of each, and whether each set is covered.
+def signatures(grams: np.ndarray, owner: np.ndarray, sizes: np.ndarray, band: np.ndarray, b: Bands, probe: bool, common: np.ndarray):
+    """Signatures of sets in the given bands, the set of each, whether each set is covered, and how many segments it could spare.
 
-    The sets have ``sizes`` > 0 and their shingles stand set by set; with ``probe`` only as many segments as needed.
+    The sets have ``sizes`` > 0 and their shingles stand set by set; ``common`` marks common shingles;
+    with ``probe`` only as many segments as needed.
     """
     n = len(sizes)
     m = b.segments[band]
-    base = np.cumsum(m) - m
-    segment = ((grams >> U64(32)) * m[owner].astype(U64) >> U64(32)).astype(np.int64)
+    base = 2 * (np.cumsum(m) - m)
+    # each set has its m segments of other shingles, then m of common ones
+    segment = ((grams >> U64(32)) * m[owner].astype(U64) >> U64(32)).astype(np.int64) + np.where(common, m[owner], 0)
     at = base[owner] + segment
     inner = tb.mix(grams ^ U64(0x5851F42D4C957F2D))
-    total = _sums(inner, at, int(m.sum()))
-    count = np.bincount(at, minlength=int(m.sum()))
-    of = np.repeat(np.arange(n), m)
-    own_segment = np.arange(len(of)) - base[of]
+    cells = 2 * int(m.sum())
+    total = _sums(inner, at, cells)
+    count = np.bincount(at, minlength=cells)
+    of = np.repeat(np.arange(n), 2 * m)
+    own_segment = np.arange(cells) - base[of]
+    shared = own_segment >= m[of]
     deep = b.deletions[band]
     worth = np.where(deep[of], np.minimum(count, 2), np.minimum(count, 1))
     need = b.most(sizes, band) + 1
-    covered = np.bincount(of, worth, minlength=n) >= need
-    used = count > 0
+    alone = np.bincount(of, np.where(shared, 0, worth), minlength=n) >= need
+    worth[shared & alone[of]] = 0
+    had = np.bincount(of, worth, minlength=n).astype(np.int64)
+    covered = had >= need
+    # with deletions several signatures stand for a segment, so none may be left out
+    spare = np.where(deep | ~covered, 0, had - need)
+    used = worth > 0
     if probe:
-        order = np.lexsort((-count, of))
+        order = np.lexsort((-count, shared, of))
         before = np.cumsum(worth[order]) - worth[order]
-        before -= np.repeat(before[base], m)
+        before -= np.repeat(before[base], 2 * m)
         used[order[before >= need[of]]] = False
     f = np.flatnonzero(used)
     sig, whose = [_signature(total[f], band[of[f]], own_segment[f])], [of[f]]
@@ -148,7 +165,23 @@ def signatures(grams: np.ndarray, owner: np.ndarray, sizes: np.ndarray, band: np
     if len(d):
         sig.append(_signature(total[at[d]] - inner[d], band[owner[d]], segment[d]))
         whose.append(owner[d])
-    return np.concatenate(sig), np.concatenate(whose), covered
+    return np.concatenate(sig), np.concatenate(whose), covered, spare
+
+
+def common_shingles(texts: DataFrame, n_docs: int, size: int = WORDS, sample: int = SAMPLE, most: int = COMMON) -> np.ndarray:
+    """Hashes of shingles in several documents of a sample of about ``sample``: at most ``most``, the commonest first; sorted."""
+    every = max(1, n_docs // sample)
+
+    def scan(batches):
+        for batch in batches:
+            data, offsets = tb.texts_of(*columns(batch, "text"))
+            for a, b in tb.slices(offsets):
+                yield pa.RecordBatch.from_arrays([signed(shingles(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a], size)[0])], ["shingle"])
+
+    some = texts.where(F.pmod(F.xxhash64("doc", "rid"), F.lit(every)) == 0)
+    counted = some.select("text").mapInArrow(scan, "shingle long").groupBy("shingle").count().where(F.col("count") >= COMMON_FROM)
+    found = counted.orderBy(F.desc("count"), "shingle").limit(most).select("shingle").toArrow().column("shingle").to_numpy()
+    return np.sort(found.astype(np.int64).view(U64))
 
 
 def described(texts: DataFrame, size: int = WORDS) -> DataFrame:
@@ -170,11 +203,12 @@ def set_key(grams: np.ndarray, owner: np.ndarray, n: int) -> np.ndarray:
     return tb.mix(_sums(tb.mix(grams), owner, n))
 
 
-def signed_sets(texts: DataFrame, size: int = WORDS, margin: float = MARGIN) -> DataFrame:
-    """Signature rows: sig, role (0 indexed, 1 looked up, 2 a set that isn't covered), g."""
+def signed_sets(texts: DataFrame, known: np.ndarray, size: int = WORDS, margin: float = MARGIN) -> DataFrame:
+    """Signature rows: sig, role (0 indexed, 1 looked up, 2 a set that isn't covered), g; ``known`` are the common shingles."""
+    told = texts.sparkSession.sparkContext.broadcast(known)  # at most COMMON hashes
 
     def scan(batches):
-        b = bands(margin)
+        b, often = bands(margin), told.value
         for batch in batches:
             data, offsets = tb.texts_of(*columns(batch, "text"))
             for lo, hi in tb.slices(offsets):
@@ -192,27 +226,30 @@ def signed_sets(texts: DataFrame, size: int = WORDS, margin: float = MARGIN) ->
                 grams, owner = grams[keep], number[owner[keep]]
                 keys, sizes = keys[chosen], sizes[chosen]
                 band = b.of(sizes)
+                common = often[np.minimum(np.searchsorted(often, grams), len(often) - 1)] == grams if len(often) else np.zeros(len(grams), bool)
                 for probe in (False, True):
                     some = np.ones(len(sizes), bool) if not probe else sizes * 5 // 4 > b.high[band]
                     if not some.any():
                         continue
                     renumber = np.cumsum(some) - 1
                     mine = some[owner]
-                    sig, whose, covered = signatures(grams[mine], renumber[owner[mine]], sizes[some], band[some] + probe, b, probe)
+                    sig, whose, covered, spare = signatures(grams[mine], renumber[owner[mine]], sizes[some], band[some] + probe, b, probe, common[mine])
                     k = keys[some]
                     role = np.full(len(sig), int(probe), np.int8)
                     lost = np.flatnonzero(~covered)
-                    yield pa.RecordBatch.from_arrays([signed(np.r_[sig, k[lost]]), pa.array(np.r_[role, np.full(len(lost), 2, np.int8)], pa.int8()), signed(np.r_[k[whose], k[lost]])], ["sig", "role", "g"])
+                    yield pa.RecordBatch.from_arrays([signed(np.r_[sig, k[lost]]), pa.array(np.r_[role, np.full(len(lost), 2, np.int8)], pa.int8()), signed(np.r_[k[whose], k[lost]]), pa.array(np.r_[np.zeros(len(whose), np.int32) if probe else spare[whose], np.zeros(len(lost), np.int32)], pa.int32())], ["sig", "role", "g", "spare"])
 
-    return texts.select("text").mapInArrow(scan, "sig long, role byte, g long")
+    return texts.select("text").mapInArrow(scan, "sig long, role byte, g long, spare int")
 
 
 def _buckets(batches):
     """Rows in the order of sig, role, g: those of signatures with several sets, with the pivot of each (an indexed set)."""
     last_sig = last_g = pivot = None
+    pivot_spare = 0
     alone = None  # the pivot's own row waits for company
     for batch in batches:
         sig, g, role = (batch.column(batch.schema.get_field_index(k)).to_numpy(zero_copy_only=False) for k in ("sig", "g", "role"))
+        spare = batch.column(batch.schema.get_field_index("spare")).to_numpy(zero_copy_only=False)
         if not len(sig):
             continue
         new = np.r_[sig[0] != last_sig if last_sig is not None else True, sig[1:] != sig[:-1]]
@@ -228,11 +265,11 @@ def _buckets(batches):
         firsts = many[np.r_[True, bucket[1:] != bucket[:-1]]] if len(many) else many
         told = firsts[(head[firsts] >= 0) | (alone is not None)] if len(firsts) else firsts
         yield pa.RecordBatch.from_arrays(
-            [pa.array(np.r_[sig[told], sig[many]]), pa.array(np.r_[pivots[told], pivots[many]].astype(np.int64)), pa.array(np.r_[pivots[told], g[many]].astype(np.int64)), pa.array(np.r_[np.zeros(len(told), np.int8), role[many]], pa.int8())],
-            ["sig", "pivot", "g", "role"],
+            [pa.array(np.r_[sig[told], sig[many]]), pa.array(np.r_[pivots[told], pivots[many]].astype(np.int64)), pa.array(np.r_[pivots[told], g[many]].astype(np.int64)), pa.array(np.r_[np.zeros(len(told), np.int8), role[many]], pa.int8()), pa.array(np.r_[np.where(head[told] >= 0, spare[head[told]], pivot_spare), spare[many]], pa.int32())],
+            ["sig", "pivot", "g", "role", "spare"],
         )
         if head[-1] >= 0:
-            pivot = int(g[head[-1]]) if role[head[-1]] == 0 else None
+            pivot, pivot_spare = int(g[head[-1]]) if role[head[-1]] == 0 else None, int(spare[head[-1]])
             alone = True if pivot is not None and not (len(many) and bucket[-1] == head[-1]) else None
         elif len(many):
             alone = None
@@ -260,66 +297,80 @@ def linked(texts: DataFrame, size: int = WORDS, margin: float = MARGIN) -> tuple
     described_docs = shared.materialised(described(texts, size))
     classes = described_docs.where("n > 0").groupBy("g", "g2", "n").agg(F.min(F.struct("doc", "rid")).alias("least"))
     classes = shared.materialised(classes.select("g", "g2", "n", "least.doc", "least.rid"))
-    rows = signed_sets(texts, size, margin)
+    rows = signed_sets(texts, common_shingles(texts, described_docs.count(), size), size, margin)
     rows = rows.repartition("sig").sortWithinPartitions("sig", "role", "g")
-    sorted_rows = rows.mapInArrow(_tagged, "sig long, pivot long, g long, role byte")
-    buckets = shared.materialised(sorted_rows)
+    buckets = shared.materialised(rows.mapInArrow(_tagged, "sig long, pivot long, g long, role byte, spare int"))
     uncovered = buckets.where("role = 2").select("g").distinct()
-    buckets = buckets.where("role < 2")
+    # an indexed set may spare some segments: those with the fullest buckets.  It is active in the others,
+    # and meets every member there; buckets that it has to itself count as met
+    weighed = buckets.where("role < 2").join(buckets.where("role < 2").groupBy("sig").agg(F.count(F.lit(1)).alias("members")), "sig")
+    fullest = F.row_number().over(Window.partitionBy("g", "role").orderBy(F.desc("members"), "sig"))
+    weighed = shared.materialised(weighed.withColumn("active", fullest > F.col("spare")).drop("spare"))
+    any_active = weighed.groupBy("sig").agg(F.max("active").alias("used")).where("used").select("sig")
+    buckets = shared.materialised(weighed.join(any_active, "sig"))
+    rest = shared.materialised(_rest(texts, uncovered, size)) if uncovered.limit(1).count() else None
+
+    def sets(batches):
+        for batch in batches:
+            g, n, doc, text = columns(batch, "g", "n", "doc", "text")
+            data, offsets = tb.texts_of(text)
+            for a, b in tb.slices(offsets):
+                grams, owner = shingles(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a], size)
+                cuts = np.searchsorted(owner, np.arange(b - a + 1))
+                out = [np.sort(grams[s:e]).tobytes() for s, e in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True)]
+                yield pa.RecordBatch.from_arrays([g.slice(a, b - a), n.slice(a, b - a), doc.slice(a, b - a), pa.array(out, pa.binary())], ["g", "n", "doc", "hashes"])
+
+    # the sets of all that share a bucket with another, once
+    wanted = buckets.select("g")
+    if rest is not None:
+        wanted = wanted.union(rest.select("a")).union(rest.select("b"))
+    chosen = classes.join(wanted.distinct(), "g").select("g", "n", "doc", "rid")
+    arrays = texts.select("doc", "rid", "text").join(chosen, ["doc", "rid"]).select("g", "n", "doc", "text").mapInArrow(sets, "g long, n long, doc long, hashes binary")
+    arrays = shared.materialised(arrays)
+    side = lambda x: arrays.select(F.col("g").alias(x), F.col("n").alias(f"n{x}"), F.col("doc").alias(f"d{x}"), F.col("hashes").alias(f"s{x}"))
+    slim = lambda x: arrays.select(F.col("g").alias(x), F.col("n").alias(f"n{x}"))
 
     def compared(pairs: DataFrame) -> DataFrame:
         """The linked ones of pairs of set keys (a, b), as pairs of documents."""
-        pairs = shared.materialised(pairs)
-        wanted = pairs.select(F.col("a").alias("g")).union(pairs.select(F.col("b").alias("g"))).distinct()
-        chosen = classes.join(wanted, "g").select("g", "n", "doc", "rid")
-
-        def sets(batches):
-            for batch in batches:
-                g, n, doc, text = columns(batch, "g", "n", "doc", "text")
-                data, offsets = tb.texts_of(text)
-                for a, b in tb.slices(offsets):
-                    grams, owner = shingles(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a], size)
-                    cuts = np.searchsorted(owner, np.arange(b - a + 1))
-                    out = [np.sort(grams[s:e]).tobytes() for s, e in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True)]
-                    yield pa.RecordBatch.from_arrays([g.slice(a, b - a), n.slice(a, b - a), doc.slice(a, b - a), pa.array(out, pa.binary())], ["g", "n", "doc", "hashes"])
-
-        arrays = texts.select("doc", "rid", "text").join(chosen, ["doc", "rid"]).select("g", "n", "doc", "text").mapInArrow(sets, "g long, n long, doc long, hashes binary")
-        arrays = shared.materialised(arrays)
-        slim = arrays.select("g", "n")
-        fit = pairs.join(slim.select(F.col("g").alias("a"), F.col("n").alias("na")), "a").join(slim.select(F.col("g").alias("b"), F.col("n").alias("nb")), "b")
-        fit = fit.where(5 * F.least("na", "nb") >= 4 * F.greatest("na", "nb")).select("a", "b").distinct()
-        side = lambda x: arrays.select(F.col("g").alias(x), F.col("doc").alias(f"d{x}"), F.col("hashes").alias(f"s{x}"))
+        fit = pairs.join(slim("a"), "a").join(slim("b"), "b").where("5 * least(na, nb) >= 4 * greatest(na, nb)").select("a", "b").distinct()
         return shared.materialised(fit.join(side("a"), "a").join(side("b"), "b").select("da", "db", "sa", "sb").mapInArrow(_verified, "da long, db long"))
 
     by_doc = classes.select("g", "doc")
 
-    def open_pairs(comps: DataFrame, exhaustive: bool, tested: DataFrame) -> DataFrame:
-        """Pairs within buckets that are in different components and haven't been compared."""
-        place = shared.materialised(by_doc.join(comps, by_doc["doc"] == comps["id"], "inner").select("g", "component"))
-        x = buckets.join(place, "g", "left").withColumn("component", F.coalesce(F.col("component").cast("string"), F.concat(F.lit("g"), F.col("g").cast("string"))))
+    def open_rows(rows: DataFrame, comps: DataFrame) -> DataFrame:
+        """The rows of buckets that still hold several components."""
+        place = by_doc.join(comps, by_doc["doc"] == comps["id"]).select("g", "component")
+        x = rows.select("sig", "g", "role", "active").join(place, "g", "left").withColumn("component", F.coalesce(F.col("component").cast("string"), F.concat(F.lit("g"), F.col("g").cast("string"))))
         mixed = x.groupBy("sig").agg(F.min("component").alias("c0"), F.max("component").alias("c1")).where("c0 <> c1").select("sig")
-        x = x.join(mixed, "sig").select("sig", "pivot", "g", "role", "component")
-        if exhaustive:
-            other = x.where("role = 0").select("sig", F.col("g").alias("h"), F.col("component").alias("d"))
-            p = x.join(other, "sig").where("component <> d AND (role = 1 OR g < h)").select(F.least("g", "h").alias("a"), F.greatest("g", "h").alias("b"))
-        else:
-            lead = x.where("g = pivot").select("sig", F.col("component").alias("d")).distinct()
-            p = x.join(lead, "sig").where("component <> d").select(F.least("g", "pivot").alias("a"), F.greatest("g", "pivot").alias("b"))
-        return p.distinct().join(tested, ["a", "b"], "left_anti")
-
-    voted = buckets.where("g <> pivot").groupBy("g", "pivot").agg(F.count(F.lit(1)).alias("votes"))
+        return shared.materialised(x.join(mixed, "sig").select("sig", "g", "role", "active", "component"))
+
+    def cross(x: DataFrame, other: DataFrame, tested: DataFrame) -> DataFrame:
+        """Pairs of rows of a bucket in different components that haven't been compared."""
+        other = other.select("sig", F.col("g").alias("h"), F.col("component").alias("d"), F.col("role").alias("r"))
+        p = x.where("active").join(other, "sig").where("component <> d AND role + r < 2").select(F.least("g", "h").alias("a"), F.greatest("g", "h").alias("b"))
+        return shared.materialised(p.distinct().join(tested, ["a", "b"], "left_anti"))
+
+    def drawn(x: DataFrame, number: int) -> DataFrame:
+        """One indexed row of each bucket, another one in each bucket and round."""
+        one = x.where("role = 0").groupBy("sig").agg(F.min(F.struct(F.xxhash64("g", "sig", F.lit(number)).alias("o"), "g", "component")).alias("one"))
+        return one.select("sig", "one.g", "one.component", F.lit(0).cast("byte").alias("role"))
+
+    voted = buckets.where("active AND g <> pivot").groupBy("g", "pivot").agg(F.count(F.lit(1)).alias("votes"))
     best = voted.groupBy("g").agg(F.max(F.struct("votes", "pivot")).alias("best")).select(F.least("g", "best.pivot").alias("a"), F.greatest("g", "best.pivot").alias("b")).distinct()
-    if uncovered.limit(1).count():
-        best = best.union(_rest(texts, uncovered, size)).distinct()
-    tested = shared.materialised(best)
+    tested = shared.materialised(best if rest is None else best.union(rest).distinct())
     links = compared(tested)
-    for exhaustive in (False, True):
-        comps = shared.components(links, "da", "db")
-        more = shared.materialised(open_pairs(comps, exhaustive, tested))
+    comps = shared.components(links, "da", "db")
+    x = open_rows(buckets, comps)
+    # members meet a drawn one of their bucket, until few are left apart; those meet all of other components
+    for number in range(ROUNDS + 1):
+        more = cross(x, drawn(x, number) if number < ROUNDS else x, tested)
         if more.limit(1).count():
-            links = shared.materialised(links.union(compared(more)))
-            tested = shared.materialised(tested.union(more))
-    return described_docs, shared.components(links, "da", "db")
+            links = links.union(compared(more))
+            tested = tested.union(more)
+            comps = shared.components(links, "da", "db")
+        if number < ROUNDS:
+            x = open_rows(x, comps)
+    return described_docs, comps
 
 
 def _tagged(batches):
@@ -331,7 +382,7 @@ def _tagged(batches):
             lost = np.flatnonzero(role == 2)
             if len(lost):
                 g = batch.column(batch.schema.get_field_index("g")).take(pa.array(lost))
-                found.append(pa.RecordBatch.from_arrays([g, g, g, pa.array(np.full(len(lost), 2, np.int8))], ["sig", "pivot", "g", "role"]))
+                found.append(pa.RecordBatch.from_arrays([g, g, g, pa.array(np.full(len(lost), 2, np.int8)), pa.array(np.zeros(len(lost), np.int32))], ["sig", "pivot", "g", "role", "spare"]))
                 batch = batch.take(pa.array(np.flatnonzero(role != 2)))
             yield batch
 

@@ -107,11 +107,12 @@ def components(links: DataFrame, a: str = "a", b: str = "b", rounds: int = 60) -
         hung = large.join(low2, large["b"] == low2["u"]).select(F.col("m").alias("x"), F.col("a").alias("y"), F.col("u").alias("z"))
         small = hung.select(F.explode(F.array(F.struct(F.col("x").alias("a"), F.col("y").alias("b")), F.struct(F.col("x").alias("a"), F.col("z").alias("b")))).alias("e")).select("e.a", "e.b").where("a <> b").distinct()
         new = materialised(small)
-        # both steps keep the components; a star forest is their only fixpoint
-        deep = new.select("a").distinct().join(new.select(F.col("b").alias("a")).distinct(), "a", "left_semi").limit(1).count()
-        twice = new.groupBy("b").count().where("count > 1").limit(1).count() if not deep else 1
+        # both steps keep the components; a star forest, where no id hangs on two others or on one that hangs, is their fixpoint
+        ends = new.select(F.col("a").alias("x"), F.lit(None).cast("long").alias("on")).union(new.select(F.col("b").alias("x"), F.col("a").alias("on")))
+        ends = ends.groupBy("x").agg(F.count(F.lit(1)).alias("n"), F.count("on").alias("hung"), F.min("on").alias("lo"), F.max("on").alias("hi"))
+        unsettled = ends.where("hung > 0 AND (n > hung OR lo <> hi)").limit(1).count()
         edges = new
-        if not deep and not twice:
+        if not unsettled:
             break
     else:
         raise RuntimeError("the components did not settle")
