@@ -45,7 +45,7 @@ from wfpath.llm.substring_dedup import columns, signed
 from wfpath.llm.suffix_dedup import LAST, keyed
 from wfpath.llm.tokens import spread
 
-WORDS, DELETIONS_UP_TO, MARGIN = 5, 60, 6.0
+WORDS, DELETIONS_UP_TO, MARGIN, PARITY_WORDS = 5, 60, 6.0, 8
 SAMPLE, COMMON, COMMON_FROM, ROUNDS = 8192, 1 << 18, 3, 2
 U64 = np.uint64
 
@@ -185,7 +185,7 @@ def common_shingles(texts: DataFrame, n_docs: int, size: int = WORDS, sample: in
 
 
 def described(texts: DataFrame, size: int = WORDS) -> DataFrame:
-    """doc, rid, n (shingles), and two hashes of the set."""
+    """doc, rid, n (shingles), two hashes of the set, and its parity bits."""
 
     def scan(batches):
         for batch in batches:
@@ -194,9 +194,21 @@ def described(texts: DataFrame, size: int = WORDS) -> DataFrame:
             for a, b in tb.slices(offsets):
                 grams, owner = shingles(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a], size)
                 k = b - a
-                yield pa.RecordBatch.from_arrays([doc.slice(a, k), rid.slice(a, k), pa.array(np.bincount(owner, minlength=k), pa.int64()), signed(set_key(grams, owner, k)), signed(_sums(tb.mix(grams * U64(0xD1342543DE82EF95)), owner, k))], ["doc", "rid", "n", "g", "g2"])
+                yield pa.RecordBatch.from_arrays([doc.slice(a, k), rid.slice(a, k), pa.array(np.bincount(owner, minlength=k), pa.int64()), signed(set_key(grams, owner, k)), signed(_sums(tb.mix(grams * U64(0xD1342543DE82EF95)), owner, k)), parities(grams, owner, k)], ["doc", "rid", "n", "g", "g2", "bits"])
 
-    return texts.mapInArrow(scan, "doc long, rid int, n long, g long, g2 long")
+    return texts.mapInArrow(scan, "doc long, rid int, n long, g long, g2 long, bits array<long>")
+
+
+def parities(grams: np.ndarray, owner: np.ndarray, n: int) -> pa.Array:
+    """For each set 512 bits, each the parity of the number of its shingles there.
+
+    Two sets differ by at least as many shingles as their bits differ, so a pair with too many
+    different bits is no candidate.
+    """
+    bits = np.zeros(n * PARITY_WORDS, U64)
+    slot = grams & U64(64 * PARITY_WORDS - 1)
+    np.bitwise_xor.at(bits, owner * PARITY_WORDS + (slot >> U64(6)).astype(np.int64), U64(1) << (slot & U64(63)))
+    return pa.ListArray.from_arrays(pa.array(np.arange(n + 1) * PARITY_WORDS, pa.int32()), signed(bits))
 
 
 def set_key(grams: np.ndarray, owner: np.ndarray, n: int) -> np.ndarray:
@@ -295,8 +307,8 @@ def _verified(batches):
 def linked(texts: DataFrame, size: int = WORDS, margin: float = MARGIN) -> tuple[DataFrame, DataFrame]:
     """Every document's set (doc, rid, n, g, g2), and the components of the documents that link (id, component)."""
     described_docs = shared.materialised(described(texts, size))
-    classes = described_docs.where("n > 0").groupBy("g", "g2", "n").agg(F.min(F.struct("doc", "rid")).alias("least"))
-    classes = shared.materialised(classes.select("g", "g2", "n", "least.doc", "least.rid"))
+    classes = described_docs.where("n > 0").groupBy("g", "g2", "n").agg(F.min(F.struct("doc", "rid")).alias("least"), F.first("bits").alias("bits"))
+    classes = shared.materialised(classes.select("g", "g2", "n", "least.doc", "least.rid", "bits"))
     rows = signed_sets(texts, common_shingles(texts, described_docs.count(), size), size, margin)
     rows = rows.repartition("sig").sortWithinPartitions("sig", "role", "g")
     buckets = shared.materialised(rows.mapInArrow(_tagged, "sig long, pivot long, g long, role byte, spare int"))
@@ -335,25 +347,26 @@ def linked(texts: DataFrame, size: int = WORDS, margin: float = MARGIN) -> tuple
         fit = pairs.join(slim("a"), "a").join(slim("b"), "b").where("5 * least(na, nb) >= 4 * greatest(na, nb)").select("a", "b").distinct()
         return shared.materialised(fit.join(side("a"), "a").join(side("b"), "b").select("da", "db", "sa", "sb").mapInArrow(_verified, "da long, db long"))
 
-    by_doc = classes.select("g", "doc")
+    by_set = classes.select("g", "doc", "n", "bits")
 
     def open_rows(rows: DataFrame, comps: DataFrame) -> DataFrame:
         """The rows of buckets that still hold several components."""
-        place = by_doc.join(comps, by_doc["doc"] == comps["id"]).select("g", "component")
-        x = rows.select("sig", "g", "role", "active").join(place, "g", "left").withColumn("component", F.coalesce(F.col("component").cast("string"), F.concat(F.lit("g"), F.col("g").cast("string"))))
+        place = by_set.join(comps, by_set["doc"] == comps["id"], "left").select("g", "n", "bits", "component")
+        x = rows.select("sig", "g", "role", "active").join(place, "g").withColumn("component", F.coalesce(F.col("component").cast("string"), F.concat(F.lit("g"), F.col("g").cast("string"))))
         mixed = x.groupBy("sig").agg(F.min("component").alias("c0"), F.max("component").alias("c1")).where("c0 <> c1").select("sig")
-        return shared.materialised(x.join(mixed, "sig").select("sig", "g", "role", "active", "component"))
+        return shared.materialised(x.join(mixed, "sig").select("sig", "g", "role", "active", "component", "n", "bits"))
 
     def cross(x: DataFrame, other: DataFrame, tested: DataFrame) -> DataFrame:
         """Pairs of rows of a bucket in different components that haven't been compared."""
-        other = other.select("sig", F.col("g").alias("h"), F.col("component").alias("d"), F.col("role").alias("r"))
-        p = x.where("active").join(other, "sig").where("component <> d AND role + r < 2").select(F.least("g", "h").alias("a"), F.greatest("g", "h").alias("b"))
+        other = other.select("sig", F.col("g").alias("h"), F.col("component").alias("d"), F.col("role").alias("r"), F.col("n").alias("m"), F.col("bits").alias("others"))
+        apart = sum((F.bit_count(F.get("bits", i).bitwiseXOR(F.get("others", i))) for i in range(1, PARITY_WORDS)), F.bit_count(F.get("bits", 0).bitwiseXOR(F.get("others", 0))))
+        p = x.where("active").join(other, "sig").where("component <> d AND role + r < 2 AND 5 * least(n, m) >= 4 * greatest(n, m)").where(9 * apart <= F.col("n") + F.col("m")).select(F.least("g", "h").alias("a"), F.greatest("g", "h").alias("b"))
         return shared.materialised(p.distinct().join(tested, ["a", "b"], "left_anti"))
 
     def drawn(x: DataFrame, number: int) -> DataFrame:
         """One indexed row of each bucket, another one in each bucket and round."""
-        one = x.where("role = 0").groupBy("sig").agg(F.min(F.struct(F.xxhash64("g", "sig", F.lit(number)).alias("o"), "g", "component")).alias("one"))
-        return one.select("sig", "one.g", "one.component", F.lit(0).cast("byte").alias("role"))
+        one = x.where("role = 0").groupBy("sig").agg(F.min(F.struct(F.xxhash64("g", "sig", F.lit(number)).alias("o"), "g", "component", "n", "bits")).alias("one"))
+        return one.select("sig", "one.g", "one.component", "one.n", "one.bits", F.lit(0).cast("byte").alias("role"))
 
     voted = buckets.where("active AND g <> pivot").groupBy("g", "pivot").agg(F.count(F.lit(1)).alias("votes"))
     best = voted.groupBy("g").agg(F.max(F.struct("votes", "pivot")).alias("best")).select(F.least("g", "best.pivot").alias("a"), F.greatest("g", "best.pivot").alias("b")).distinct()
