@@ -8,6 +8,7 @@ order and whose prefixes are label prefixes.
 from __future__ import annotations
 
 from collections.abc import Callable
+from functools import reduce
 
 import numpy as np
 import pandas as pd
@@ -62,6 +63,15 @@ def constants(values: list[int]) -> Column:
     return F.split(F.lit(",".join(map(str, values)) or "0"), ",").cast("array<bigint>")
 
 
+def bound(value: Column, body: Callable[[Column], Column]) -> Column:
+    """``body`` of a value that is computed once, however often the body names it."""
+    return F.get(F.transform(F.array(value), body), F.lit(0))
+
+
+def _any_of(masks: list[Column]) -> Column:
+    return reduce(lambda x, y: x.bitwiseOR(y), masks)
+
+
 class Lookup:
     """Relations by number as one literal: row q of relation r is element r * states + q."""
 
@@ -75,17 +85,20 @@ class Lookup:
     def rows(self) -> Column:
         return constants(self.flat)
 
+    def _bits(self) -> list[tuple[int, Column]]:
+        return [(q, F.lit(1 << q).cast("bigint")) for q in range(self.states)]
+
     def forward(self, mask: Column, number: Column) -> Column:
         """States after the relation, from the states of a mask."""
-        rows = self.rows()
-        one = lambda acc, q: acc.bitwiseOR(F.when(F.call_function("shiftright", mask, q).bitwiseAND(F.lit(1)) == 1, F.get(rows, (number * self.states).cast("int") + q)).otherwise(F.lit(0)))
-        return F.aggregate(F.sequence(F.lit(0), F.lit(self.states - 1)), F.lit(0).cast("bigint"), one)
+        rows, none = self.rows(), F.lit(0).cast("bigint")
+        own = lambda m, at: _any_of([F.when(m.bitwiseAND(bit) != 0, F.get(rows, at + q)).otherwise(none) for q, bit in self._bits()])
+        return bound(mask, lambda m: bound((number * self.states).cast("int"), lambda at: own(m, at)))
 
     def backward(self, mask: Column, number: Column) -> Column:
         """States from which the relation leads into the mask."""
-        rows = self.rows()
-        one = lambda acc, q: acc.bitwiseOR(F.when(F.get(rows, (number * self.states).cast("int") + q).bitwiseAND(mask) != 0, F.call_function("shiftleft", F.lit(1).cast("bigint"), q)).otherwise(F.lit(0)))
-        return F.aggregate(F.sequence(F.lit(0), F.lit(self.states - 1)), F.lit(0).cast("bigint"), one)
+        rows, none = self.rows(), F.lit(0).cast("bigint")
+        own = lambda m, at: _any_of([F.when(F.get(rows, at + q).bitwiseAND(m) != 0, bit).otherwise(none) for q, bit in self._bits()])
+        return bound(mask, lambda m: bound((number * self.states).cast("int"), lambda at: own(m, at)))
 
 
 class Decoder:
@@ -168,18 +181,26 @@ class Decoder:
     def holds(self, u: dict[str, Column], v: dict[str, Column]) -> Column:
         """Whether the path exists, from labels and masks of both nodes (keys label, exits and entries)."""
         lu, lv = u["label"], v["label"]
-        d = F.array_position(F.zip_with(lu, lv, lambda x, y: F.when(x.eqNullSafe(y), 0).otherwise(1)), 1).cast("int") - 1
-        x, y = F.get(lu, d), F.get(lv, d)
-        nx, ny = F.get(lu, d + 1), F.get(lv, d + 1)
-        eu, eu1, ev, ev1 = F.get(u["exits"], d), F.get(u["exits"], d + 1), F.get(v["entries"], d), F.get(v["entries"], d + 1)
+        depth = F.array_position(F.zip_with(lu, lv, lambda x, y: F.when(x.eqNullSafe(y), 0).otherwise(1)), 1).cast("int") - 1
+
+        def at(d: Column) -> Column:
+            places = {"x": (lu, d), "y": (lv, d), "nx": (lu, d + 1), "ny": (lv, d + 1), "eu": (u["exits"], d), "eu1": (u["exits"], d + 1), "ev": (v["entries"], d), "ev1": (v["entries"], d + 1)}
+            return F.struct(*[F.get(array, i).alias(name) for name, (array, i) in places.items()])
+
+        return bound(depth, lambda d: F.when(d < 0, F.lit(self.accepts_empty)).otherwise(bound(at(d), self._met)))
+
+    def _met(self, r: Column) -> Column:
+        """The decision where two labels part: entries x and y, the next ones, and the masks at both depths."""
+        x, y, nx, ny = r["x"], r["y"], r["nx"], r["ny"]
         n, s, t = self.length(x["a"]), x["a"], x["b"] - 1
-        body = self.same_body(eu, x["a"], x["b"], y["b"]).bitwiseAND(ev)
-        onward = self.enter.forward(self.same_body(eu1, nx["a"], nx["b"], F.get(self.slots, nx["a"])), self.steps("enter", s, (t + x["idx"]) % n, y["idx"] - 1 - x["idx"])).bitwiseAND(ev)
-        back = self.leave.forward(eu, self.steps("leave", s, (t + x["idx"] - 2 + n) % n, x["idx"] - 1 - y["idx"]))
-        back = self.same_body(back, ny["a"], F.get(self.slots, ny["a"]), ny["b"]).bitwiseAND(ev1)
+        body = self.same_body(r["eu"], x["a"], x["b"], y["b"]).bitwiseAND(r["ev"])
+        onward = self.same_body(r["eu1"], nx["a"], nx["b"], F.get(self.slots, nx["a"]))
+        onward = self.enter.forward(onward, self.steps("enter", s, (t + x["idx"]) % n, y["idx"] - 1 - x["idx"])).bitwiseAND(r["ev"])
+        back = self.leave.forward(r["eu"], self.steps("leave", s, (t + x["idx"] - 2 + n) % n, x["idx"] - 1 - y["idx"]))
+        back = self.same_body(back, ny["a"], F.get(self.slots, ny["a"]), ny["b"]).bitwiseAND(r["ev1"])
         same_place = (x["kind"] == y["kind"]) & (x["a"] == y["a"])
         met = F.when(~same_place, 0).when(x["kind"] == 0, body).when(x["b"] != y["b"], 0).when(x["idx"] < y["idx"], onward).otherwise(back)
-        return F.when(d < 0, F.lit(self.accepts_empty)).otherwise(F.coalesce(met != 0, F.lit(False)))
+        return F.coalesce(met != 0, F.lit(False))
 
 
 def reach_table(spec: Spec) -> tuple[list[int], list[int], list[int]]:

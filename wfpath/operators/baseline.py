@@ -13,8 +13,10 @@ from wfpath.operators import allpairs
 from wfpath.plans import rpq
 from wfpath.plans.rpq import Dfa, Node
 from wfpath.plans.spec import Spec
+from wfpath.sources.runs import write_index
 
 PAIR = ["run_id", "src", "dst"]
+__all__ = ["PAIR", "Rounds", "closure", "concatenated", "cut", "delta_table", "identity", "ifq_index", "indexed", "join_tree", "product_graph", "product_walk", "rare_tag", "tag_counts", "write_index"]
 
 
 def cut(df: DataFrame) -> DataFrame:
@@ -173,11 +175,6 @@ def rare_tag(query: Node, nodes: DataFrame, edges: DataFrame, spec: Spec, thresh
     return _to(out, l2)
 
 
-def write_index(edges: DataFrame, path: str) -> None:
-    """Edges in a folder for each tag, sorted by run: looking a tag up reads its folder only."""
-    edges.select("run_id", "src", "dst", "tag").repartition("tag", F.pmod(F.xxhash64("run_id"), F.lit(16))).sortWithinPartitions("run_id").write.partitionBy("tag").parquet(path)
-
-
 def indexed(spark: SparkSession, path: str, tag: str) -> DataFrame:
     return spark.read.schema("run_id string, src string, dst string, tag string").parquet(path).where(F.col("tag") == tag).select(*PAIR)
 

@@ -33,8 +33,10 @@ def holds(pairs: DataFrame, nodes: DataFrame, plan: SafePlan, kernel: str = "aut
     use_columns = kernel == "columns" or (kernel == "auto" and plan.dfa.n <= 62)
     if use_columns:
         decoder = Decoder(plan)
-        u = masked(nodes, decoder, entries=False).select("run_id", F.col("node_id").alias("src"), F.col("label").alias("ulabel"), "exits")
-        v = masked(nodes, decoder, exits=False).select("run_id", F.col("node_id").alias("dst"), F.col("label").alias("vlabel"), "entries")
+        # masks only of nodes that some pair names; the join that follows reuses this partitioning
+        named = lambda side: nodes.join(pairs.select("run_id", F.col(side).alias("node_id")), KEYS, "left_semi")
+        u = masked(named("src"), decoder, entries=False).select("run_id", F.col("node_id").alias("src"), F.col("label").alias("ulabel"), "exits")
+        v = masked(named("dst"), decoder, exits=False).select("run_id", F.col("node_id").alias("dst"), F.col("label").alias("vlabel"), "entries")
     else:
         u = nodes.select("run_id", F.col("node_id").alias("src"), F.col("label").alias("ulabel"))
         v = nodes.select("run_id", F.col("node_id").alias("dst"), F.col("label").alias("vlabel"))

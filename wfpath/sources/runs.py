@@ -10,11 +10,12 @@ from __future__ import annotations
 from collections.abc import Callable
 from dataclasses import dataclass
 
+from pyspark.errors import AnalysisException
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from wfpath.functions.labels import member, pos
+from wfpath.functions.labels import LABEL, member, pos
 from wfpath.plans.spec import Spec
 
 
@@ -27,6 +28,43 @@ class RunData:
     spec: Spec
 
 
+class StoredRun:
+    """The same three of a run whose rows are written to a folder at their first use and read from there.
+
+    Nodes keep their labels; edges lie in a folder for each tag.  A later query reads the columns,
+    modules and tags that it needs instead of deriving the run again.
+    """
+
+    def __init__(self, run: Callable[[], RunData], spec: Spec, folder: str) -> None:
+        self.spec, self._run, self._folder, self._written = spec, run, folder, set()
+
+    def _rows(self, spark: SparkSession, kind: str, schema: str, write: Callable[[str], None]) -> DataFrame:
+        path = f"{self._folder}/{kind}"
+        if kind in self._written:
+            try:
+                return spark.read.schema(schema).parquet(path)
+            except AnalysisException:  # the folder was cleaned meanwhile
+                self._written.discard(kind)
+                path = self._folder = f"{self._folder}x"
+        write(path)
+        self._written.add(kind)
+        return spark.read.schema(schema).parquet(path)
+
+    @property
+    def nodes(self) -> DataFrame:
+        columns = ["run_id", "node_id", "module", "label"]
+        return self._rows(SparkSession.active(), "nodes", f"run_id string, node_id string, module string, label {LABEL}", lambda path: self._run().nodes.select(*columns).write.parquet(path))
+
+    @property
+    def edges(self) -> DataFrame:
+        return self._rows(SparkSession.active(), "edges", "run_id string, src string, dst string, tag string", lambda path: write_index(self._run().edges, path))
+
+
+def write_index(edges: DataFrame, path: str) -> None:
+    """Edges in a folder for each tag, sorted by run: looking a tag up reads its folder only."""
+    edges.select("run_id", "src", "dst", "tag").repartition("tag", F.pmod(F.xxhash64("run_id"), F.lit(16))).sortWithinPartitions("run_id").write.partitionBy("tag").parquet(path)
+
+
 @dataclass(frozen=True)
 class Carrier:
     name: str
@@ -38,6 +76,9 @@ class Carrier:
     def build(self, spark: SparkSession, sf_dir: str) -> RunData:
         return RunData(self.nodes(spark, sf_dir), self.edges(spark, sf_dir), self.spec)
 
+    def stored(self, spark: SparkSession, sf_dir: str, folder: str) -> StoredRun:
+        return StoredRun(lambda: self.build(SparkSession.active(), sf_dir), self.spec, folder)
+
     def edges(self, spark: SparkSession, sf_dir: str) -> DataFrame:
         frames = {t: table(spark, sf_dir, t) for t in self.tables}
         text = self.edges_sql.replace("{micros}", "unix_micros(CAST(ts AS TIMESTAMP))")

@@ -6,6 +6,7 @@ it shares nothing with the methods it checks but the automaton.
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -24,6 +25,17 @@ ORACLES: dict[str, str] = {}
 FLAGSHIP = "fork_star_state_set"
 
 
+_STORED: dict[tuple[str, str, str], runs.StoredRun] = {}
+
+
+def run_of(carrier: str, spark: SparkSession, sf_dir: str) -> runs.StoredRun:
+    """A carrier's run, written once for an application: the first query on it pays for the writing."""
+    key = (spark.sparkContext.applicationId, carrier, sf_dir)
+    if key not in _STORED:
+        _STORED[key] = CARRIERS[carrier].stored(spark, sf_dir, f"{_folder(spark).rstrip('/')}/run-{carrier}-{uuid.uuid4().hex}")
+    return _STORED[key]
+
+
 def walk_sql(carrier: str, query: str, l1: str = "TRUE", l2: str = "TRUE", select: str = "SELECT DISTINCT run_id, src, node_id AS dst FROM hits") -> str:
     """The product walk of a query as recursive SQL; ``l1`` and ``l2`` are conditions on node_id and module."""
     c = CARRIERS[carrier]
@@ -59,7 +71,7 @@ def pairs(key: str, carrier: str, query: str, methods: str, l1: str | None = Non
     for m in methods.split():
 
         def run(spark: SparkSession, sf_dir: str, m=m) -> DataFrame:
-            data = CARRIERS[carrier].build(spark, sf_dir)
+            data = run_of(carrier, spark, sf_dir)
             return general.evaluate(data, query, _list(data.nodes, l1), _list(data.nodes, l2), m)
 
         name = key if len(methods.split()) == 1 else f"{key}_{m}"
@@ -77,7 +89,7 @@ def outputs(key: str, carrier: str, query: str, l1: str | None = None, l2: str |
     for out, select in selects.items():
 
         def run(spark: SparkSession, sf_dir: str, out=out) -> DataFrame:
-            data = CARRIERS[carrier].build(spark, sf_dir)
+            data = run_of(carrier, spark, sf_dir)
             return allpairs.state_set(data.nodes, compile_rpq(data.spec, query), _list(data.nodes, l1), _list(data.nodes, l2), out)
 
         QUERIES[f"{key}_{out}"], ORACLES[f"{key}_{out}"] = run, walk_sql(carrier, query, _within(l1), _within(l2), select)
@@ -87,7 +99,7 @@ def probes(key: str, carrier: str, query: str, l1: str, l2: str, method: str = "
     """Pairwise workloads: every pair of the named modules' nodes of a run, decided one by one."""
 
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        data = CARRIERS[carrier].build(spark, sf_dir)
+        data = run_of(carrier, spark, sf_dir)
         u = _list(data.nodes, l1).select("run_id", F.col("node_id").alias("src"))
         v = _list(data.nodes, l2).select("run_id", F.col("node_id").alias("dst"))
         if method == "arrays":
@@ -212,7 +224,7 @@ def lineage(key: str, chosen_sql: str, make: Callable[[SparkSession, str], DataF
     """Read nodes of chosen documents (run_id, doc_id) to the outputs of their source."""
 
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        data = CARRIERS["documents"].build(spark, sf_dir)
+        data = run_of("documents", spark, sf_dir)
         l1 = make(spark, sf_dir).select(F.col("source").alias("run_id"), F.concat_ws(".", "source", F.col("doc_id").cast("string"), F.lit("read")).alias("node_id"))
         return allpairs.state_set(data.nodes, compile_rpq(data.spec, "_*.tokenise._*"), l1, _list(data.nodes, "gather sink"))
 
@@ -253,11 +265,11 @@ def _product(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES["product_graph_example"] = _product
 _dfa = rpq.compile_(rpq.parse("_*.e._*"), runs.EXAMPLE.tags)
 ORACLES["product_graph_example"] = f"SELECT run_id, src, q, dst, q2, e.tag FROM ({CARRIERS['example'].duckdb()}) AS e JOIN (VALUES {', '.join(str(x) for x in _dfa.table())}) AS d(q, tag, q2) ON d.tag = e.tag"
-QUERIES["measure_reachable_supply"] = lambda s, d: measures.reachable_pairs(CARRIERS["supply"].build(s, d)).select("run_id", "reachable", "tested")
+QUERIES["measure_reachable_supply"] = lambda s, d: measures.reachable_pairs(run_of("supply", s, d)).select("run_id", "reachable", "tested")
 ORACLES["measure_reachable_supply"] = walk_sql("supply", "_*", select="SELECT run_id, count(*) AS reachable, (SELECT count(*) * count(*) FROM nodes) AS tested FROM hits GROUP BY run_id")
-QUERIES["measure_selectivity_documents"] = lambda s, d: measures.selectivity(general.evaluate(CARRIERS["documents"].build(s, d), "split*", method="state_set"))
+QUERIES["measure_selectivity_documents"] = lambda s, d: measures.selectivity(general.evaluate(run_of("documents", s, d), "split*", method="state_set"))
 ORACLES["measure_selectivity_documents"] = walk_sql("documents", "split*", select="SELECT run_id, count(*) AS pairs FROM hits GROUP BY run_id")
-QUERIES["measure_diff_supply"] = lambda s, d: measures.diff(general.evaluate(CARRIERS["supply"].build(s, d), "split*", method="state_set"), general.evaluate(CARRIERS["supply"].build(s, d), "split*", method="walk"))
+QUERIES["measure_diff_supply"] = lambda s, d: measures.diff(general.evaluate(run_of("supply", s, d), "split*", method="state_set"), general.evaluate(run_of("supply", s, d), "split*", method="walk"))
 ORACLES["measure_diff_supply"] = "SELECT '' AS run_id, '' AS src, '' AS dst, '' AS side WHERE FALSE"
 QUERIES["measure_label_lengths"] = lambda s, d: measures.label_lengths(CARRIERS["orders"].build(s, d))
 QUERIES["levels_documents"] = lambda s, d: _levels(s, d)
