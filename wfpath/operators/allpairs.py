@@ -26,12 +26,23 @@ def listed(nodes: DataFrame, part: DataFrame | None) -> DataFrame:
     return own.join(part.select("run_id", "node_id").dropDuplicates(), ["run_id", "node_id"], "left_semi")
 
 
-def nested(nodes: DataFrame, plan: SafePlan, l1: DataFrame | None = None, l2: DataFrame | None = None) -> DataFrame:
-    """Every pair of nodes of a run, tested by labels; the work is |l1| times |l2| in each run."""
+#: Slices of a run's first list; each meets the whole second list in a task of its own.
+SLICES = 16
+
+
+def nested(nodes: DataFrame, plan: SafePlan, l1: DataFrame | None = None, l2: DataFrame | None = None, slices: int = SLICES) -> DataFrame:
+    """Every pair of nodes of a run, tested by labels; the work is |l1| times |l2| in each run.
+
+    The first list is cut into ``slices`` by node, so that one large run isn't one task.
+    """
     decoder = Decoder(plan)
     u = masked(listed(nodes, l1), decoder, entries=False).select("run_id", F.col("node_id").alias("src"), F.col("label").alias("ulabel"), "exits")
     v = masked(listed(nodes, l2), decoder, exits=False).select("run_id", F.col("node_id").alias("dst"), F.col("label").alias("vlabel"), "entries")
-    pairs = u.join(v, "run_id")
+    u = u.withColumn("slice", F.pmod(F.xxhash64("src"), F.lit(slices)))
+    v = v.withColumn("slice", F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(slices - 1).cast("bigint"))))
+    # a number is named, as adaptive planning would else put these few rows with their many pairs into one task
+    n = max(2 * slices, int(nodes.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+    pairs = u.repartition(n, "run_id", "slice").join(v, ["run_id", "slice"])
     return pairs.where(decided(pairs, decoder)).select(*PAIR)
 
 

@@ -111,9 +111,15 @@ def identity(nodes: DataFrame) -> DataFrame:
 
 
 def join_tree(query: Node, nodes: DataFrame, edges: DataFrame, l1: DataFrame | None = None, l2: DataFrame | None = None, mode: str = "semi", counter: Rounds | None = None) -> DataFrame:
-    """The parse tree evaluated bottom-up by joins, unions and fixpoints."""
+    """The parse tree evaluated bottom-up by joins, unions and fixpoints; a part that occurs again is evaluated once."""
+    done: dict[Node, DataFrame] = {}
 
     def walk(x: Node) -> DataFrame:
+        if x not in done:
+            done[x] = evaluated(x)
+        return done[x]
+
+    def evaluated(x: Node) -> DataFrame:
         match x.kind:
             case "eps":
                 return identity(nodes)
