@@ -21,7 +21,7 @@ import zlib
 import numpy as np
 
 U64, U32 = np.uint64, np.uint32
-BLOCK = 4096
+BLOCK = 1024
 MAGIC = b"CM1\0"
 TOTAL = 1 << 16
 FIRST_BITS, SECOND_BITS, SLOT_BITS = 9, 10, 9
