@@ -1,11 +1,12 @@
 """Operator 8: best-fit packing by a configuration linear program over the length histogram.
 
-Only the histogram of piece lengths (at most ``capacity`` numbers) comes to the driver.  There
-multiplicative weights price the lengths, a knapsack dynamic program finds the dearest way to fill
-one sequence, and the weights of what it covers fall.  The fractional counts are rounded down;
-what is left is packed best-fit decreasing, on the histogram too.  Plain best-fit decreasing is
-kept where it needs no more sequences.  The plan says for ranges of the rank of a piece among
-those of its length where it goes, so placing all pieces is one ranking and one lookup.
+Only the histogram of piece lengths (at most ``capacity`` numbers) comes to the driver.  The
+program asks for the fewest sequences whose configurations cover it.  Multiplicative weights price
+the lengths, a knapsack dynamic program finds the dearest way to fill one sequence without taking
+a length more often than it is left, a fraction of what is left is covered by it, and the weights
+of the lengths in it fall.  The fractions are rounded down once, and only what the rounding leaves
+is packed best-fit decreasing, on the histogram too.  The plan says for ranges of the rank of a
+piece among those of its length where it goes, so placing all pieces is one ranking and one lookup.
 
 Nulls and edge cases: a null or empty text is its end id alone; rows that share a doc_id are
 packed one by one; an empty table gives no rows.
@@ -24,55 +25,79 @@ from pyspark.sql import functions as F
 from wfpath.llm import shared, tokens
 from wfpath.llm import textbytes as tb
 
-CAPACITY, END_ID, ROUNDS, RANKS = 4096, 1, 120, 256
-
-
-def dearest(prices: np.ndarray, lengths: np.ndarray, capacity: int) -> dict[int, int]:
-    """How often to take each length so that a full sequence is worth most (unbounded knapsack)."""
-    price = np.full(capacity + 1, -np.inf)
-    price[lengths] = prices
-    best, took = np.zeros(capacity + 1), np.zeros(capacity + 1, np.int64)
-    for c in range(1, capacity + 1):
-        worth = price[1 : c + 1] + best[c - 1 :: -1]
-        k = int(worth.argmax())
-        if worth[k] > best[c - 1]:
-            best[c], took[c] = worth[k], k + 1
-        else:
-            best[c] = best[c - 1]
+CAPACITY, END_ID, RANKS = 4096, 1, 256
+#: Rounds at most; how fast weights fall; the share of the scarcest length that a step covers; lengths priced in a
+#: round; how full a configuration has to be; draws without such a one before the rest is left to best fit.
+ROUNDS, RATE, WIDTH, DRAWN, FULL, PATIENCE = 5000, 1.0, 0.9, 32, 0.998, 60
+
+
+def dearest(prices: np.ndarray, lengths: np.ndarray, most: np.ndarray, capacity: int) -> dict[int, int]:
+    """How often to take each length, at most ``most`` times, so that a sequence is worth most (bounded knapsack).
+
+    A length that may be taken n times stands for bundles of 1, 2, 4, ... and the rest of it.
+    """
+    bundles = []
+    for length, price, n in zip(lengths.tolist(), prices.tolist(), np.minimum(most, capacity // lengths).tolist(), strict=True):
+        size = 1
+        while n > 0:
+            size = min(size, n)
+            bundles.append((length, price, size))
+            n, size = n - size, 2 * size
+    best = np.zeros(capacity + 1)
+    taken = np.zeros((len(bundles), capacity + 1), bool)
+    for i, (length, price, size) in enumerate(bundles):
+        w = length * size
+        with_it = best[: capacity + 1 - w] + price * size
+        np.greater(with_it, best[w:], out=taken[i, w:])
+        np.maximum(best[w:], with_it, out=best[w:])
     found: dict[int, int] = {}
-    c = capacity
-    while c > 0:
-        if took[c]:
-            found[int(took[c])] = found.get(int(took[c]), 0) + 1
-            c -= int(took[c])
-        else:
-            c -= 1
+    room = capacity
+    for i in range(len(bundles) - 1, -1, -1):
+        if taken[i, room]:
+            length, _, size = bundles[i]
+            found[length] = found.get(length, 0) + size
+            room -= length * size
     return found
 
 
-def fractional(counts: np.ndarray, capacity: int, rounds: int = ROUNDS, rate: float = 0.5) -> list[tuple[dict[int, int], float]]:
-    """Configurations and how many sequences of each, from multiplicative weights."""
-    lengths = np.flatnonzero(counts)
-    need = counts[lengths].astype(float)
-    place = {int(v): i for i, v in enumerate(lengths)}
-    covered, chosen = np.zeros(len(lengths)), []
+def fractional(counts: np.ndarray, capacity: int, rounds: int = ROUNDS, rate: float = RATE, width: float = WIDTH) -> tuple[dict[tuple[tuple[int, int], ...], float], float]:
+    """The covering program by multiplicative weights: configurations with how many sequences of each, and a lower bound.
+
+    The program asks for the fewest sequences whose configurations cover every length's count.  A
+    length's weight falls with the share of its count that is covered, and a price is the weight for
+    each token of it.  A round prices a draw of lengths (all of them where they are few), which
+    differs from round to round, and takes the configuration that is worth most; no length is taken
+    more often than it is left.  A step covers the share ``width`` of what is left of the scarcest
+    length of the configuration, but one sequence at least, so weights move by bounded factors.
+    The bound is the dual value of the volume prices, or the number of lengths over half a sequence.
+    """
+    left = counts.astype(float)
+    chosen: dict[tuple[tuple[int, int], ...], float] = {}
+    total = float((left * np.arange(capacity + 1)).sum())
+    bound = max(total / capacity, float(left[capacity // 2 + 1 :].sum()))
+    rng = np.random.default_rng(0)
+    poor = 0
     for _ in range(rounds):
-        # a length's weight falls with the share of it that is covered; long ones are worth their room
-        left = np.maximum(1 - covered / need, 0)
-        if not left.any():
+        lengths = np.flatnonzero(left >= 1)
+        if not len(lengths) or poor > PATIENCE:
             break
-        config = dearest(np.where(left > 0, lengths * np.exp(rate * (left - 1)), 0), lengths, capacity)
-        at = np.array([place[v] for v in config])
+        if len(lengths) > DRAWN:
+            volume = left[lengths] * lengths
+            lengths = np.sort(rng.choice(lengths, DRAWN, replace=False, p=volume / volume.sum()))
+        share = left[lengths] / counts[lengths]
+        config = dearest(lengths * np.exp(rate * (share - 1)), lengths, np.floor(left[lengths]).astype(np.int64), capacity)
+        at = np.array(list(config))
         often = np.array(list(config.values()), float)
-        step = float((np.maximum(need[at] - covered[at], 0) / often).min())
-        if step < 1:
-            # what can't be filled as a whole once more is dropped from the pricing
-            covered[at[np.maximum(need[at] - covered[at], 0) / often < 1]] = need[at[np.maximum(need[at] - covered[at], 0) / often < 1]]
+        if (at * often).sum() < FULL * capacity:
+            # a draw without a full configuration: another may have one
+            poor += 1
             continue
-        step = max(1.0, step / 2)
-        covered[at] += often * step
-        chosen.append((config, step))
-    return chosen
+        poor = 0
+        step = max(1.0, width * float((left[at] / often).min()))
+        left[at] -= often * step
+        key = tuple(sorted(config.items(), reverse=True))
+        chosen[key] = chosen.get(key, 0.0) + step
+    return chosen, bound
 
 
 def best_fit(counts: np.ndarray, capacity: int) -> list[tuple[tuple[tuple[int, int], ...], int]]:
@@ -119,17 +144,18 @@ def best_fit(counts: np.ndarray, capacity: int) -> list[tuple[tuple[tuple[int, i
 
 
 def plan(counts: np.ndarray, capacity: int = CAPACITY) -> list[tuple[tuple[tuple[int, int], ...], int]]:
-    """Configurations and how many sequences of each, covering the histogram exactly."""
+    """Configurations and how many sequences of each, covering the histogram exactly.
+
+    The program's fractions are rounded down once; best-fit decreasing packs what they leave.
+    """
     left, groups = counts.copy(), []
-    for config, many in fractional(counts, capacity):
-        whole = min([int(many), *(int(left[v]) // k for v, k in config.items())])
+    for config, many in fractional(counts, capacity)[0].items():
+        whole = min([int(many), *(int(left[v]) // k for v, k in config)])
         if whole > 0:
-            for v, k in config.items():
+            for v, k in config:
                 left[v] -= k * whole
-            groups.append((tuple(sorted(config.items(), reverse=True)), whole))
-    groups += best_fit(left, capacity)
-    plain = best_fit(counts, capacity)
-    return plain if sum(g[1] for g in plain) <= sum(g[1] for g in groups) else groups
+            groups.append((config, whole))
+    return groups + best_fit(left, capacity)
 
 
 def ranges(groups) -> dict[str, np.ndarray]:
