@@ -3,9 +3,10 @@
 Each source's documents stand in a shuffled order (by the MD5 of their id); a source that is
 granted more than it has is gone through again.  A copy of a document gets a virtual finish time:
 the tokens of its source up to its end, divided by the source's target.  All copies are sorted by
-that time over ranges of it, and the sort is cut where the total budget is spent.  As every
-source's clock runs at its target, each has then been served its target, and the document that a
-source has just begun is cut there, or rounded to all or nothing with ``whole=True``.
+that time over ranges of it, and the sort is cut where the total budget is spent.  Every source's
+clock runs at its target, so when the budget is spent each has been served its target but for a
+document.  The one document that the budget ends in is cut there, or rounded to all or nothing
+with ``whole=True``.
 
 Nothing but a row per source is ever ordered in one task: both sorts run in explicit ranges
 (of the hash and of the finish time), and only totals per range are added up.
@@ -62,22 +63,25 @@ def schedule(sized: DataFrame, goal: DataFrame, ceiling: int = CEILING) -> DataF
     g = goal.withColumnRenamed("source", "_source")
     x = queued.join(g, queued["source"].eqNullSafe(g["_source"])).drop("_source")
     x = x.withColumn("copy", F.explode(F.sequence(F.lit(0), F.lit(ceiling - 1))))
-    start = F.col("copy") * F.col("source_size") + F.col("ahead")
-    served = F.greatest(F.lit(0), F.least(F.col("size"), F.floor("target") - start)).cast("long")
-    x = x.withColumn("served", served).where("served > 0").withColumn("finish", (start + F.col("served")) / F.col("target"))
-    x = x.withColumn("range", F.least(F.floor(F.col("finish") * RANGES), F.lit(RANGES)).cast("long"))
-    x = shared.running_total(x, "range", ["finish", F.asc_nulls_last("source"), F.asc_nulls_first("doc_id"), "copy"], "served", "before")
-    budget = goal.agg(F.floor(F.sum("target")).cast("long").alias("_budget"))
-    limit = budget.first()["_budget"] or 0
-    x = x.withColumn("served", F.greatest(F.lit(0), F.least(F.col("served"), F.lit(limit) - F.col("before"))))
+    x = x.where("size > 0").withColumn("finish", (F.col("copy") * F.col("source_size") + F.col("ahead") + F.col("size")) / F.col("target"))
+    x = x.withColumn("range", F.floor(F.col("finish") * RANGES))
+    # ranges that begin behind the end of the budget are left out before the sort: it needs no order there
+    limit = goal.agg(F.round(F.sum("target")).cast("long").alias("n")).first()["n"] or 0
+    per_range = x.groupBy("range").agg(F.sum("size").alias("in_range"))
+    upto = Window.orderBy("range").rowsBetween(Window.unboundedPreceding, -1)
+    needed = per_range.select("range", F.coalesce(F.sum("in_range").over(upto), F.lit(0)).alias("base")).where(F.col("base") < limit)
+    x = x.join(needed, "range")
+    order = Window.partitionBy("range").orderBy("finish", F.asc_nulls_last("source"), F.asc_nulls_first("doc_id"), "copy").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    x = x.withColumn("before", F.col("base") + F.sum("size").over(order) - F.col("size"))
+    x = x.withColumn("served", F.least(F.col("size"), F.lit(limit) - F.col("before")))
     return x.where("served > 0").select("doc_id", "source", "size", "copy", "finish", "before", "served")
 
 
 def mixed(docs: DataFrame, whole: bool = True, weights=WEIGHTS, share: float = SHARE, ceiling: int = CEILING) -> DataFrame:
     """The mix itself: the rows of ``docs``, each as often as it is served.
 
-    With ``whole`` a document that is cut counts if at least half of it is served; otherwise the
-    last copy's text is cut after the words served.
+    With ``whole`` the document that the budget ends in counts if at least half of it is served;
+    otherwise its text is cut after the words served.
     """
     sized = shared.materialised(sizes(docs))
     copies = schedule(sized, targets(sized, weights, share, ceiling), ceiling)
@@ -86,7 +90,9 @@ def mixed(docs: DataFrame, whole: bool = True, weights=WEIGHTS, share: float = S
     copies = copies.select(F.col("doc_id").alias("_d"), F.col("source").alias("_s"), F.col("served").alias("_served"), F.col("size").alias("_size"))
     out = docs.join(copies, docs["doc_id"].eqNullSafe(copies["_d"]) & docs["source"].cast("string").eqNullSafe(copies["_s"]))
     if not whole:
-        cut = F.expr(r"regexp_extract(text, concat('^(?:[\\x20\\x09-\\x0D]*[^\\x20\\x09-\\x0D]+){', _served, '}'), 0)")
+        # spaces and words in turn; the words served are joined again by what stood between them
+        parts = F.expr(r"regexp_extract_all(text, '[\\x20\\x09-\\x0D]*[^\\x20\\x09-\\x0D]+', 0)")
+        cut = F.array_join(F.slice(parts, F.lit(1), F.col("_served").cast("int")), "")
         out = out.withColumn("text", F.when(F.col("_served") < F.col("_size"), cut).otherwise(F.col("text")))
     return out.select(*[docs[c] if c != "text" or whole else F.col("text") for c in docs.columns])
 
@@ -121,8 +127,15 @@ goal AS (
 queued AS (
   SELECT s.*, g.source_size, g.target,
          CAST(sum(size) OVER (PARTITION BY s.source ORDER BY md5(CAST(doc_id AS VARCHAR)), doc_id ROWS UNBOUNDED PRECEDING) AS BIGINT) - size AS ahead
-  FROM sized s JOIN goal g ON s.source IS NOT DISTINCT FROM g.source)
-SELECT doc_id, source, size, source_size, target,
-       CAST(greatest(0, least(size, floor(target) - ahead)) + greatest(0, least(size, floor(target) - source_size - ahead)) AS BIGINT) AS taken
-FROM queued
+  FROM sized s JOIN goal g ON s.source IS NOT DISTINCT FROM g.source),
+copies AS (
+  SELECT *, CAST(copy * source_size + ahead + size AS DOUBLE) / target AS finish
+  FROM queued, (VALUES (0), (1)) AS c(copy) WHERE size > 0),
+sorted AS (
+  SELECT *, sum(size) OVER (ORDER BY finish, source NULLS LAST, doc_id, copy ROWS UNBOUNDED PRECEDING) - size AS before FROM copies),
+served AS (
+  SELECT doc_id, source, sum(greatest(0, least(size, (SELECT round(sum(target)) FROM goal) - before))) AS taken
+  FROM sorted GROUP BY doc_id, source)
+SELECT q.doc_id, q.source, q.size, q.source_size, q.target, CAST(coalesce(taken, 0) AS BIGINT) AS taken
+FROM queued q LEFT JOIN served v ON q.doc_id IS NOT DISTINCT FROM v.doc_id AND q.source IS NOT DISTINCT FROM v.source
 """
