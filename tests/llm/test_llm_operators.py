@@ -56,7 +56,56 @@ def test_quality_rules(spark, docs, empty):
     assert quality_rules.apply_rules(empty, labels).count() == 0
     assert quality_rules.filtered(docs, labels).columns == docs.columns
     assert abs(quality_rules.binomial_tail(2, 10, 0.3) - 0.3827827864) < 1e-9
-    assert quality_rules.sharpest(2000, [0, 1, 400], [3, 2, 1], 0.01, 0.001) == 2 and quality_rules.sharpest(10, [0], [1], 0.01, 0.001) is None
+    assert quality_rules.proven(2000, [0, 1, 400], 0.01, 0.001) == 2 and quality_rules.proven(10, [0], 0.01, 0.001) == 0
+    assert quality_rules.proven(85, [0], 0.05, 0.0125) == 0 and quality_rules.proven(86, [0], 0.05, 0.0125) == 1
+
+
+def test_quality_rules_by_brute_force(spark):
+    rng = np.random.default_rng(8)
+    rows, labels = [], []
+    for i in range(900):
+        bad = i % 5 == 0
+        lang = None if i % 3 == 0 else "en"
+        symbols = int(rng.integers(20, 60)) if bad else int(rng.integers(0, 3))
+        marked = ["#" * (k < symbols) for k in range(60)]
+        rows.append((i, " ".join(f"w{rng.integers(1 << 30)}{m}" for m in marked) if not bad or i % 2 == 0 else "## " * 5, lang))
+        labels.append((i, int(not bad), 0))
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    marks = spark.createDataFrame(labels, "doc_id long, quality int, toxic int")
+    path = [{"symbols": 2.0}, {"symbols": 0.1}, {"symbols": 0.1, "few_words": 0.99}, {"symbols": 0.01, "few_words": 0.99}]
+    stats = quality_rules.measured(docs)
+    cuts = quality_rules.calibrated(stats, marks, path=path).collect()
+    values = {}
+    for i, text, lang in rows:
+        w = words(text)
+        c = Counter(tuple(w[j : j + 5]) for j in range(len(w) - 4))
+        covered = {k for j in range(len(w) - 4) if c[tuple(w[j : j + 5])] > 1 for k in range(j, j + 5)}
+        values[i] = {"symbols": sum(map(text.count, "#*$%&|<>")) / len(w), "few_words": len(set(w)) / len(w), "base": len(w) < 10 or 100 * len(covered) > 20 * len(w)}
+    hit = lambda v, setting: any(v[r] > c if r == "symbols" else v[r] < c for r, c in setting.items())
+    chosen = {}
+    for stratum in (None, "en"):
+        good = [values[i] for i, _, lang in rows if lang == stratum and i % 5 and not values[i]["base"]]
+        n = quality_rules.proven(len(good), [sum(hit(v, s) for v in good) for s in path], 0.05, 0.025)
+        chosen[stratum] = path[n - 1] if n else {}
+        assert {(r["rule"], r["cutoff"], r["good"]) for r in cuts if r["stratum"] == stratum} == {(r, c, len(good)) for r, c in chosen[stratum].items()}
+    assert chosen["en"]
+    kept = {r["_id"]: r["kept"] for r in quality_rules.judged(stats, quality_rules.calibrated(stats, marks, path=path)).collect()}
+    assert kept == {i: not values[i]["base"] and not hit(values[i], chosen[lang]) for i, _, lang in rows}
+    # the path that is laid on the tuning part rejects what is bad and hardly what is good
+    found = {r["_id"]: r for r in quality_rules.apply_rules(docs, marks).collect()}
+    assert all(found[i]["kept"] for i, *_ in rows if i % 5) and not any(found[i]["kept"] for i, *_ in rows if i % 5 == 0)
+    assert any(r["failed_rules"] for r in found.values())
+
+
+def test_path_of_settings():
+    ratios = np.full((100, len(quality_rules.RULES)), np.nan)
+    bad = np.arange(100) < 30
+    names = list(quality_rules.RULES)
+    ratios[:, names.index("symbols")] = np.where(bad, 1.5, 0.001)
+    ratios[:20, names.index("digits")], ratios[20:, names.index("digits")] = 0.9, 0.5
+    path = quality_rules.laid(ratios, bad)
+    assert len(path) == 1 and path[0] == {"symbols": quality_rules.GRIDS["symbols"][1]}
+    assert quality_rules.laid(ratios[:0], bad[:0]) == []
 
 
 def test_quality_model(spark, docs, empty):
