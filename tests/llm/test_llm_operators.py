@@ -230,6 +230,58 @@ def test_token_ids_and_coder(docs, empty, tmp_path):
         token_coder.decode([bytes(broken)])
 
 
+def brute_repeats(texts, size, keep_first=False):
+    """doc -> which bytes go, from every string of ``size`` bytes in a dictionary."""
+    seen = {}
+    for d, t in texts:
+        for j in range(len(t) - size + 1):
+            seen.setdefault(t[j : j + size], []).append((d, j))
+    out = {d: np.zeros(len(t), bool) for d, t in texts}
+    for places in seen.values():
+        for d, j in places[1:] if keep_first else places if len(places) > 1 else ():
+            out[d][j : j + size] = True
+    return out
+
+
+@pytest.mark.parametrize("largest", [suffix_dedup.LARGEST, 600, 0])
+@pytest.mark.parametrize("keep_first", [False, True])
+def test_suffix_dedup_levels_by_brute_force(spark, largest, keep_first):
+    rng = np.random.default_rng(11)
+    passage = bytes(rng.integers(97, 123, 260))
+    core = bytes(rng.integers(97, 123, 90))
+    texts = []
+    for i in range(40):
+        noise = lambda n: bytes(rng.integers(97, 123, n))
+        texts.append((i, noise(30) + core + noise(140) + (passage[: 205 + i] if i % 2 else b"") + noise(50)))
+    texts += [(50, b"ab" * 900), (51, b"ab" * 300), (52, passage), (53, passage * 3), (54, texts[3][1]), (55, texts[3][1])]
+    docs = spark.createDataFrame([(d, t.decode()) for d, t in texts], "doc_id long, text string")
+    marks = {}
+    for r in suffix_dedup.repeats(suffix_dedup.keyed(docs), keep_first=keep_first, largest=largest).collect():
+        marks.setdefault(r["doc"], []).append(r.asDict())
+    want = brute_repeats(texts, 200, keep_first)
+    for d, t in texts:
+        got = suffix_dedup.removed_mask(len(t), marks.get(d, []), 200) if d in marks else np.zeros(len(t), bool)
+        assert (got == want[d]).all(), d
+
+
+def test_previous_factors_by_brute_force():
+    rng = np.random.default_rng(12)
+    for alphabet in (1, 2, 4):
+        data = rng.integers(1, alphabet + 1, 300).astype(np.uint16)
+        text = bytes(data.tolist())
+        lpf = [max([0] + [next(k for k in range(301) if i + k >= 300 or text[i + k] != text[j + k]) for j in range(i)]) for i in range(300)]
+        assert suffix_dedup.longest_previous_factors(text).tolist() == lpf
+        at = np.arange(300 - 23)
+        factor, source = suffix_dedup.previous_factors(data, at, 24)
+        for i in range(len(at)):
+            assert factor[i] == (24 if lpf[i] >= 24 else factor[i]) and factor[i] <= min(24, lpf[i]) and (factor[i] >= 24 or factor[i] >= min(24, lpf[i]) - 3)
+            assert factor[i] == 0 or (source[i] < i and text[i : i + factor[i]] == text[source[i] : source[i] + factor[i]])
+    x = rng.permutation(200)
+    before, after = suffix_dedup.smaller_neighbours(x)
+    assert before.tolist() == [max([j for j in range(i) if x[j] < x[i]], default=-1) for i in range(200)]
+    assert after.tolist() == [min([j for j in range(i + 1, 200) if x[j] < x[i]], default=-1) for i in range(200)]
+
+
 def test_suffix_dedup(docs, empty):
     texts = [(i, (t or "").encode()) for i, t, *_ in ROWS if (i, t) != (3, "a")] + [(3, b"a")]
     c = Counter(d[j : j + 200] for _, d in texts for j in range(len(d) - 199))

@@ -57,6 +57,23 @@ def running_total(df: DataFrame, bucket: str, order: list[Column | str], amount:
     return joined.select(*[out[c] for c in out.columns if c != name], (out[name] + before["_base"]).alias(name))
 
 
+#: A key with more than this share of the counted rows is met by broadcast; there are fewer such keys than its inverse.
+HOT = 1 / 512
+
+
+def joined_by_count(rows: DataFrame, counted: DataFrame, keys: list[str], times: str) -> DataFrame:
+    """``rows`` with what ``counted`` says of their keys (none twice); ``times`` is how many of the rows have the key.
+
+    Keys with a share of the rows above HOT, fewer than 512, are broadcast, so that no task gets all
+    rows of one of them; the others meet by a shuffle.  ``times`` itself is left out.
+    """
+    total = counted.agg(F.sum(times).alias("n")).first()["n"] or 0
+    hot = counted.where(F.col(times) > F.lit(total * HOT)).drop(times)
+    rest = counted.where(F.col(times) <= F.lit(total * HOT)).drop(times)
+    cold = rows.join(F.broadcast(hot.select(*keys)), keys, "left_anti").join(rest, keys)
+    return cold.unionByName(rows.join(F.broadcast(hot), keys))
+
+
 def _forest(batches, a: str, b: str):
     """Links reduced to a spanning star per local component: at most a row for each id."""
     for batch in batches:

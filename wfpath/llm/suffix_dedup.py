@@ -2,17 +2,21 @@
 
 A byte belongs to a repeat if a string of ``SIZE`` bytes that covers it starts anywhere else.  A
 suffix array over all bytes of a corpus can't be sorted in one place, and needn't be: strings
-that are equal have the same smallest 64-byte hash, so
-
-1. neighbouring starts with the same smallest hash form a run; runs whose hash occurs once in
-   the corpus (and only once within the run) repeat nothing and are dropped;
-2. runs of equal content are repeats as wholes, and one of them stands for all;
-3. the different contents that share a smallest hash are brought together, and each such
-   collection gets its suffix array (by prefix doubling, to the depth of SIZE) and, within
-   stretches of common prefixes of SIZE bytes, the previous and the next smaller positions in
-   suffix order: a start with either has an earlier copy, a start with a previous or next larger
-   one a later copy.  A collection larger than ``LARGEST`` bytes is decided by counting the hashes
-   of its strings instead, which Spark can spread, so no task holds an unbounded one.
+that are equal have the same smallest 64-byte hash, so suffixes are dealt by it.
+
+1. Neighbouring starts with the same smallest hash form a run; runs whose hash occurs once in
+   the corpus (and only once within the run) repeat nothing and are dropped.
+2. Runs of equal content are combined: one of them stands for all in what follows, and the others
+   are repeats as wholes.
+3. The different contents that share a smallest hash form a collection, which gets its suffix
+   order to the depth of SIZE (prefix doubling, ties by position), for each position its previous
+   and next smaller positions in that order, and the longest previous factor as the longer of the
+   common prefixes with those two.  A factor that reaches SIZE has an earlier copy at its source,
+   and the source a later one.
+4. A collection of more than ``LARGEST`` bytes is cut into finer ones before: starts are dealt by
+   how far behind them the smallest hash stands, in ranges of 17 and then of 1, and by the bytes
+   that all strings of such a range share.  Equal strings stay together at each cut, and the same
+   three steps follow, so no task holds an unbounded collection.
 
 ``keep_first`` removes only what has an earlier copy (in the order of doc_id and position); the
 query removes every copy.  Strings are judged on the input, not on what is left.
@@ -37,7 +41,9 @@ from wfpath.llm import textbytes as tb
 from wfpath.llm.substring_dedup import columns, removed_mask, signed
 
 SIZE, GRAM = 200, 64
-LARGEST, TOGETHER = 8 << 20, 1 << 20
+LARGEST, TOGETHER = 4 << 20, 1 << 20
+#: How many distances of the smallest hash a finer collection spans, level by level.
+FINER = (17, 1)
 PART = 4 << 20
 RUN = "v long, h long, n int, again boolean, doc long, rid int, s int"
 LAST = (1 << 63) - 1
@@ -93,72 +99,97 @@ def runs(texts: DataFrame, size: int = SIZE, gram: int = GRAM) -> DataFrame:
     return texts.mapInArrow(scan, RUN)
 
 
-def ranks(data: np.ndarray, size: int) -> np.ndarray:
-    """The rank of every suffix by its first ``size`` symbols, equal prefixes alike; by prefix doubling."""
+def ranks(data: np.ndarray, size: int) -> tuple[list[int], list[np.ndarray]]:
+    """The ranks of all suffixes by their first symbols, equal prefixes alike, by prefix doubling: depths and ranks up to ``size``."""
     n = len(data)
     padded = np.zeros(n + 8, np.uint16)
     padded[:n] = data
     wide = np.zeros(n, np.uint64)
-    depth = min(4, size)
-    for j in range(depth):
+    depths = [min(4, size)]
+    for j in range(depths[0]):
         wide = (wide << np.uint64(16)) | padded[j : j + n].astype(np.uint64)
-    rank = np.unique(wide, return_inverse=True)[1].astype(np.int64)
-    while depth < size:
-        step = min(depth, size - depth)
-        after = np.zeros(n, np.int64)
-        after[: n - step] = rank[step:] + 1
-        rank = np.unique(rank * (n + 1) + after, return_inverse=True)[1].astype(np.int64)
-        depth += step
-    return rank
-
-
-def copies(rank: np.ndarray, position: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """For positions of the text and their ranks to the wanted depth: has an earlier copy, has a later one.
-
-    In suffix order a stretch of equal ranks is where common prefixes reach the depth.  Within it
-    the previous or next smaller position is what the longest previous factor looks at; it is
-    there unless the position is the stretch's smallest.
+    found = [np.unique(wide, return_inverse=True)[1].astype(np.int32)]
+    while depths[-1] < size:
+        step = min(depths[-1], size - depths[-1])
+        pair = found[-1].astype(np.int64) * (n + 1)
+        pair[: n - step] += found[-1][step:] + 1
+        found.append(np.unique(pair, return_inverse=True)[1].astype(np.int32))
+        depths.append(depths[-1] + step)
+    return depths, found
+
+
+def smaller_neighbours(x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """For each element of a sequence of different numbers: where the nearest smaller ones before and after it stand (-1: nowhere).
+
+    Everything between an element and its candidate is larger than it; a candidate that is larger
+    too is replaced by its own candidate, so distances double.
     """
-    order = np.lexsort((position, rank))
-    r = rank[order]
-    previous = np.r_[False, r[1:] == r[:-1]]  # a smaller position stands before it in the stretch
-    following = np.r_[previous[1:], False]
-    earlier, later = np.empty(len(r), bool), np.empty(len(r), bool)
-    earlier[order], later[order] = previous, following
+
+    def before(y: np.ndarray) -> np.ndarray:
+        at = np.arange(-1, len(y) - 1)
+        live = np.flatnonzero(at >= 0)
+        live = live[y[at[live]] > y[live]]
+        while len(live):
+            at[live] = at[at[live]]
+            live = live[at[live] >= 0]
+            live = live[y[at[live]] > y[live]]
+        return at
+
+    after = len(x) - 1 - before(x[::-1])[::-1]
+    return before(x), np.where(after == len(x), -1, after)
+
+
+def common(depths: list[int], found: list[np.ndarray], i: np.ndarray, j: np.ndarray) -> np.ndarray:
+    """The common prefixes of suffixes i and j, as far as the ranks' depth (j = -1: none); short of it, a lower bound to 3 symbols."""
+    n = len(found[0])
+    length = np.where((j >= 0) & (found[-1][i] == found[-1][j]), depths[-1], 0)
+    for depth, rank in zip(depths[-2::-1], found[-2::-1], strict=True):
+        a, b = i + length, j + length
+        fits = (j >= 0) & (length + depth <= depths[-1]) & (a < n) & (b < n)
+        fits &= rank[np.where(fits, a, 0)] == rank[np.where(fits, b, 0)]
+        length = length + np.where(fits, depth, 0)
+    return length
+
+
+def previous_factors(data: np.ndarray, at: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray]:
+    """The longest previous factor (up to ``size``) of each start ``at`` among those starts, and its source (a place in ``at``).
+
+    ``at`` is sorted.  Starts with equal prefixes stand by position in the suffix order, so of
+    several copies each but the last is the source of the next.
+    """
+    depths, found = ranks(data, size)
+    order = np.lexsort((at, found[-1][at]))
+    previous, following = smaller_neighbours(order)
+    factor, source = np.zeros(len(at), np.int64), np.full(len(at), -1)
+    for side in (previous, following):
+        other = np.where(side >= 0, order[side], -1)
+        length = common(depths, found, at[order], np.where(side >= 0, at[other], -1))
+        better = length > factor[order]
+        factor[order[better]], source[order[better]] = length[better], other[better]
+    return factor, source
+
+
+def copies(data: np.ndarray, at: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray]:
+    """Which starts have an earlier copy of their string, and which a later one."""
+    factor, source = previous_factors(data, at, size)
+    earlier, later = factor >= size, np.zeros(len(at), bool)
+    later[source[earlier]] = True
     return earlier, later
 
 
 def longest_previous_factors(data: bytes) -> np.ndarray:
-    """The longest previous factor of every position of one text, from its suffix array; for small texts.
-
-    Neighbours in suffix order are unlinked from the largest position down, so what stands beside a
-    position then are its previous and next smaller ones.
-    """
-    n = len(data)
-    if n == 0:
-        return np.zeros(0, np.int64)
+    """The longest previous factor of every position of one text, in full length."""
     symbols = np.frombuffer(data, np.uint8).astype(np.uint16) + 1
-    order = np.argsort(ranks(symbols, max(n, 1)), kind="stable")
-
-    def common(i: int, j: int) -> int:
-        k = 0
-        while i + k < n and j + k < n and data[i + k] == data[j + k]:
-            k += 1
-        return k
-
-    before, after = {}, {}
-    for x, y in zip([None, *order[:-1]], order, strict=True):
-        before[y] = x
-        if x is not None:
-            after[x] = y
-    out = np.zeros(n, np.int64)
-    for i in range(n - 1, -1, -1):
-        p, q = before.get(i), after.get(i)
-        out[i] = max(common(i, p) if p is not None else 0, common(i, q) if q is not None else 0)
-        if p is not None:
-            after[p] = q
-        if q is not None:
-            before[q] = p
+    if not len(symbols):
+        return np.zeros(0, np.int64)
+    order = np.argsort(ranks(symbols, max(len(symbols), 1))[1][-1], kind="stable")
+    out = np.zeros(len(symbols), np.int64)
+    for side in smaller_neighbours(order):
+        for i, k in zip(order.tolist(), side.tolist(), strict=True):
+            j, length = int(order[k]), 0
+            while k >= 0 and i + length < len(symbols) and symbols[i + length] == symbols[j + length]:
+                length += 1
+            out[i] = max(out[i], length)
     return out
 
 
@@ -176,7 +207,7 @@ def _collections(batches, size: int, keep_first: bool):
             data[a : a + n] = np.frombuffer(x["bytes"], np.uint8).astype(np.uint16) + 1
         starts = lengths - size + 1
         at = np.arange(int(starts.sum())) + np.repeat(begin - (np.cumsum(starts) - starts), starts)
-        earlier, later = copies(ranks(data, size)[at], at)
+        earlier, later = copies(data, at, size)
         hit = earlier if keep_first else earlier | later
         new = np.flatnonzero(hit & ~np.r_[False, hit[:-1] & (np.diff(at) == 1)])
         stop = np.flatnonzero(hit & ~np.r_[hit[1:] & (np.diff(at) == 1), False])
@@ -196,24 +227,8 @@ def _collections(batches, size: int, keep_first: bool):
         yield marks()
 
 
-def repeats(texts: DataFrame, size: int = SIZE, gram: int = GRAM, keep_first: bool = False) -> DataFrame:
-    """Starts to remove, as ranges: doc, rid, s, n."""
-    found = shared.materialised(runs(texts, size, gram))
-    per_hash = found.groupBy("v").agg(F.count(F.lit(1)).alias("times"), F.max("again").alias("again"))
-    common = per_hash.where("times > 1 OR again").select("v")
-    likely = shared.materialised(found.join(common, "v"))
-    first = F.struct("doc", "rid", "s")
-    content = likely.groupBy("v", "h", "n").agg(F.count(F.lit(1)).alias("times"), F.min(first).alias("least"), F.max("again").alias("again"))
-    content = shared.materialised(content)
-    per_collection = content.groupBy("v").agg(F.count(F.lit(1)).alias("kinds"), F.sum(F.col("n") + size - 1).alias("bytes"), F.max("again").alias("any_again"))
-    repeated = content.where("times > 1").select("v", "h", "n", "least")
-    whole = likely.join(repeated, ["v", "h", "n"])
-    if keep_first:
-        whole = whole.where(F.struct("doc", "rid", "s") > F.col("least"))
-    whole = whole.select("doc", "rid", "s", "n")
-    mixed = content.join(per_collection.where("kinds > 1 OR any_again"), "v")
-    wanted = mixed.select("v", F.col("least.doc").alias("doc"), F.col("least.rid").alias("rid"), F.struct(F.col("least.s").alias("s"), "n", "v", (F.col("bytes") > LARGEST).alias("large")).alias("run"))
-    lists = wanted.groupBy("doc", "rid").agg(F.collect_list("run").alias("runs"))
+def _contexts(size: int):
+    """The bytes of wanted runs: rows (doc, rid, text, runs) to rows (v, doc, rid, s, large, bytes)."""
 
     def cut(batches):
         for batch in batches:
@@ -232,25 +247,70 @@ def repeats(texts: DataFrame, size: int = SIZE, gram: int = GRAM, keep_first: bo
                     cols, weight = [[], [], [], [], [], []], 0
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, _CUT, strict=True)], _NAMES)
 
-    contexts = shared.materialised(texts.select("doc", "rid", "text").join(lists, ["doc", "rid"]).mapInArrow(cut, "v long, doc long, rid int, s int, large boolean, bytes binary"))
-    small = contexts.where("NOT large").drop("large").repartition("v").sortWithinPartitions("v", "doc", "rid", "s")
-    marks = small.mapInArrow(lambda it: _collections(it, size, keep_first), "doc long, rid int, s int, n int")
+    return cut
+
+
+def finer(data: np.ndarray, size: int, gram: int, span: int) -> tuple[np.ndarray, ...]:
+    """Runs of one context by the place of the leftmost smallest hash and its distance in ranges of ``span``.
 
-    def strings(batches):
+    Hash of what all strings of the range share (and of the range), hash of the run's bytes, first start, number.
+    """
+    grams = tb.byte_grams(data, gram)
+    starts, width = np.arange(len(data) - size + 1), size - gram + 1
+    low = tb.sliding_min(grams, width)
+    place = np.empty(len(starts), np.int64)
+    view = np.lib.stride_tricks.sliding_window_view(grams, width)
+    for a in range(0, len(starts), 4096):
+        place[a : a + 4096] = starts[a : a + 4096] + (view[a : a + 4096] == low[a : a + 4096, None]).argmax(axis=1)
+    part = (place - starts) // span
+    new = np.flatnonzero(np.r_[True, (place[1:] != place[:-1]) | (part[1:] != part[:-1])])
+    n = np.diff(np.r_[new, len(starts)])
+    values, p, k = tb._TABLE[data], place[new], part[new]
+    # a last range may reach beyond the farthest distance, where no string lies
+    far = np.minimum((k + 1) * span, width) - 1
+    shared_bytes = tb.spans(values, p - k * span, p - far + size)
+    return tb.mix(shared_bytes + tb.mix(k.astype(tb.U64) + tb.U64(span << 16))), tb.spans(values, new, new + n + size - 1), new, n
+
+
+def refined(contexts: DataFrame, size: int, gram: int, span: int) -> DataFrame:
+    """The runs of large collections' contexts, dealt more finely."""
+
+    def scan(batches):
         for batch in batches:
             for row in batch.to_pylist():
-                data = np.frombuffer(row["bytes"], np.uint8)
-                values = tb._TABLE[data]
-                n = len(data) - size + 1
-                one, two = tb.rolling(values, size), tb.rolling(values, size, True)
-                yield pa.RecordBatch.from_arrays([signed(one), signed(two), pa.array(np.full(n, row["doc"])), pa.array(np.full(n, row["rid"]), pa.int32()), pa.array(np.arange(n) + row["s"], pa.int32())], ["k1", "k2", "doc", "rid", "s"])
-
-    hashed = contexts.where("large").select("doc", "rid", "s", "bytes").mapInArrow(strings, "k1 long, k2 long, doc long, rid int, s int")
-    counted = hashed.groupBy("k1", "k2").agg(F.count(F.lit(1)).alias("times"), F.min(F.struct("doc", "rid", "s")).alias("least")).where("times > 1")
-    many = hashed.join(counted, ["k1", "k2"])
-    if keep_first:
-        many = many.where(F.struct("doc", "rid", "s") > F.col("least"))
-    return whole.union(marks).union(many.select("doc", "rid", "s", F.lit(1).alias("n")))
+                v, h, s, n = finer(np.frombuffer(row["bytes"], np.uint8), size, gram, span)
+                many = len(v)
+                yield pa.RecordBatch.from_arrays([signed(v), signed(h), pa.array(n, pa.int32()), pa.array(np.zeros(many, bool)), pa.array(np.full(many, row["doc"])), pa.array(np.full(many, row["rid"]), pa.int32()), pa.array(s + row["s"], pa.int32())], ["v", "h", "n", "again", "doc", "rid", "s"])
+
+    return contexts.mapInArrow(scan, RUN)
+
+
+def repeats(texts: DataFrame, size: int = SIZE, gram: int = GRAM, keep_first: bool = False, largest: int = LARGEST) -> DataFrame:
+    """Starts to remove, as ranges: doc, rid, s, n."""
+    found, out = shared.materialised(runs(texts, size, gram)), None
+    for span in (*FINER, 0):
+        per_hash = found.groupBy("v").agg(F.count(F.lit(1)).alias("times"), F.max("again").alias("again"))
+        per_hash = shared.materialised(per_hash.where("times > 1 OR again").select("v", "times"))
+        likely = shared.materialised(shared.joined_by_count(found, per_hash, ["v"], "times"))
+        content = likely.groupBy("v", "h", "n").agg(F.count(F.lit(1)).alias("times"), F.min(F.struct("doc", "rid", "s")).alias("least"), F.max("again").alias("again"))
+        content = shared.materialised(content)
+        per_collection = content.groupBy("v").agg(F.count(F.lit(1)).alias("kinds"), F.sum(F.col("n") + size - 1).alias("bytes"), F.max("again").alias("any_again"))
+        whole = shared.joined_by_count(likely, content.where("times > 1").select("v", "h", "n", "times", "least"), ["v", "h", "n"], "times")
+        if keep_first:
+            whole = whole.where(F.struct("doc", "rid", "s") > F.col("least"))
+        mixed = content.join(per_collection.where("kinds > 1 OR any_again"), "v")
+        large = (F.col("bytes") > largest) & F.lit(span > 0)
+        wanted = mixed.select("v", F.col("least.doc").alias("doc"), F.col("least.rid").alias("rid"), F.struct(F.col("least.s").alias("s"), "n", "v", large.alias("large")).alias("run"))
+        lists = wanted.groupBy("doc", "rid").agg(F.collect_list("run").alias("runs"))
+        contexts = shared.materialised(texts.select("doc", "rid", "text").join(lists, ["doc", "rid"]).mapInArrow(_contexts(size), "v long, doc long, rid int, s int, large boolean, bytes binary"))
+        small = contexts.where("NOT large").drop("large").repartition("v").sortWithinPartitions("v", "doc", "rid", "s")
+        marks = whole.select("doc", "rid", "s", "n").union(small.mapInArrow(lambda it: _collections(it, size, keep_first), "doc long, rid int, s int, n int"))
+        out = marks if out is None else out.union(marks)
+        if not span or not contexts.where("large").limit(1).count():
+            return out
+        # copies of a large collection's runs were combined above: all of them, but not what stands for them, are marked
+        found = shared.materialised(refined(contexts.where("large"), size, gram, span))
+    return out
 
 
 _CUT = (pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.bool_(), pa.binary())
