@@ -387,18 +387,40 @@ def test_vector_dedup(spark):
     assert vector_dedup.near_duplicates(df.limit(0)).count() == 0
 
 
-def test_substring_dedup(docs, empty):
-    seen, want = {}, {}
-    for i, t, *_ in sorted((r for r in ROWS if r[0] is not None), key=lambda r: r[0]):
-        w = (t or "").encode().split()
+def brute_windows(rows, size=50):
+    """doc -> words that stay, from every window in a dictionary."""
+    least, texts = {}, {i: (t or "").encode().split() for i, t in rows}
+    for i in sorted(texts):
+        for j in range(len(texts[i]) - size + 1):
+            least.setdefault(tuple(texts[i][j : j + size]), i)
+    out = {}
+    for i, w in texts.items():
         gone = np.zeros(len(w), bool)
-        for j in range(len(w) - 49):
-            if seen.setdefault(tuple(w[j : j + 50]), i) < i:
-                gone[j : j + 50] = True
-        want[i] = b" ".join(x for x, g in zip(w, gone, strict=True) if not g).decode()
-    got = {r["doc_id"]: r["text"] for r in substring_dedup.deduplicated(docs).collect()}
-    assert {k: v for k, v in got.items() if k is not None} == want and got[None] == BASE
-    assert substring_dedup.deduplicated(empty).count() == 0
+        for j in range(len(w) - size + 1):
+            if least[tuple(w[j : j + size])] < i:
+                gone[j : j + size] = True
+        out[i] = b" ".join(x for x, g in zip(w, gone, strict=True) if not g).decode()
+    return out
+
+
+@pytest.mark.parametrize("combine", [True, False])
+def test_substring_dedup(docs, empty, combine):
+    got = {r["doc_id"]: r["text"] for r in substring_dedup.deduplicated(docs, combine=combine).collect()}
+    assert {k: v for k, v in got.items() if k is not None} == brute_windows([r[:2] for r in ROWS if r[0] is not None]) and got[None] == BASE
+    assert substring_dedup.deduplicated(empty, combine=combine).count() == 0
+
+
+@pytest.mark.parametrize("combine", [True, False])
+def test_substring_dedup_of_mixed_passages(spark, combine):
+    rng = np.random.default_rng(14)
+    passage = [f"p{k}" for k in range(90)]
+    rows = []
+    for i in range(60):
+        a, b = sorted(rng.integers(0, 91, 2))
+        noise = lambda n: [f"x{rng.integers(40)}" for _ in range(n)]
+        rows.append((int(rng.permutation(1000)[i]) * 100 + i, " ".join(noise(20) + passage[a:b] + noise(30) + passage * (i % 7 == 0) + ["same"] * (i % 5 * 30))))
+    got = {r["doc_id"]: r["text"] for r in substring_dedup.deduplicated(spark.createDataFrame(rows, "doc_id long, text string"), combine=combine).collect()}
+    assert got == brute_windows(rows)
 
 
 def test_sliding_minimum():

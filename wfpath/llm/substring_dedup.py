@@ -1,18 +1,22 @@
 """Operator 10: substring deduplication by Rabin-Karp hashes of fixed-length word windows.
 
 A word is removed if a window of ``SIZE`` words that covers it also starts in a document with a
-smaller id.  Hashing and counting every window would shuffle as many rows as there are words, so
-windows are first put together in runs: neighbouring windows whose smallest 8-word hash is the
-same one.  Equal windows have the same smallest hash, so
+smaller id.  Every window of every text is hashed, and the windows are counted in Spark by their
+hashes.  One row a window would shuffle as many rows as there are words, so neighbours are first
+combined, without loss: a *run* is a stretch of windows whose smallest 8-word hash is the same, and
+a row for it carries that hash, a hash of the sequence of its windows' hashes, and their number.
+Equal windows have the same smallest hash, so
 
 1. runs whose smallest hash occurs in one document only hold no repeat and are dropped;
-2. runs of equal content are decided as wholes: all but those of the smallest document go;
-3. only where one smallest hash has runs of different content are their windows hashed (twice,
-   64 bits each) and counted one by one, for one document of each content.
+2. runs of the same windows are counted as wholes: all but those of the smallest document go;
+3. where one smallest hash has runs of different windows, one document's run of each is taken apart
+   and its windows (by two hashes, 64 bits each) are counted one by one.
 
-All three are aggregations with map-side combine and joins on hashes, so a passage that stands in
-a third of all documents is a few rows for each task.  Repeated windows merge into maximal
-intervals, which join the texts once.
+``combine=False`` counts every window as a row of its own, with the same result.
+
+All are aggregations with map-side combine and joins on hashes, hot keys by broadcast, so a passage
+that stands in a third of all documents is a few rows for each task.  Repeated windows merge into
+maximal intervals, which join the texts once.
 
 Nulls and edge cases: a null text has no words; a null doc_id has no order, so its text neither
 loses words nor takes them; rows with the same doc_id and text are one document; a text with
@@ -49,8 +53,11 @@ def columns(batch: pa.RecordBatch, *names: str) -> list[pa.Array]:
     return [batch.column(batch.schema.get_field_index(k)) for k in names]
 
 
-def runs(texts: DataFrame, size: int = SIZE) -> DataFrame:
-    """The runs of every text: smallest hash v, hash h of its words, number n of windows, first word s."""
+def runs(texts: DataFrame, size: int = SIZE, combine: bool = True) -> DataFrame:
+    """The runs of every text: smallest hash v, hash h of its windows' hashes, number n of windows, first word s.
+
+    Without ``combine`` each window is a run: v and h are its two hashes.
+    """
 
     def scan(batches):
         for batch in batches:
@@ -59,23 +66,28 @@ def runs(texts: DataFrame, size: int = SIZE) -> DataFrame:
             for a, b in tb.slices(offsets):
                 starts, ends, first = tb.word_bounds(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a])
                 words = tb.word_hashes(data[offsets[a] : offsets[b]], starts, ends)
-                v, s, n = tb.runs_of_minima(tb.rolling(words, GRAM), tb.inside(first, size), size - GRAM + 1)
+                at, hashes = tb.inside(first, size), tb.rolling(words, size)
+                if combine:
+                    v, s, n = tb.runs_of_minima(tb.rolling(words, GRAM), at, size - GRAM + 1)
+                    h = tb.spans(hashes, s, s + n)
+                else:
+                    v, h, s, n = hashes[at], tb.rolling(words, size, True)[at], at, np.ones(len(at), np.int64)
                 if len(v):
                     owner = np.searchsorted(first, s, "right") - 1
                     of = pa.array(owner + a)
-                    yield pa.RecordBatch.from_arrays([signed(v), signed(tb.spans(words, s, s + n + size - 1)), pa.array(n, pa.int32()), doc.take(of), rid.take(of), pa.array(s - first[owner], pa.int32())], ["v", "h", "n", "doc", "rid", "s"])
+                    yield pa.RecordBatch.from_arrays([signed(v), signed(h), pa.array(n, pa.int32()), doc.take(of), rid.take(of), pa.array(s - first[owner], pa.int32())], ["v", "h", "n", "doc", "rid", "s"])
 
     return texts.mapInArrow(scan, RUN)
 
 
-def repeats(texts: DataFrame, size: int = SIZE) -> DataFrame:
+def repeats(texts: DataFrame, size: int = SIZE, combine: bool = True) -> DataFrame:
     """Windows to remove as ranges of their starts: doc, rid, s, n."""
-    found = shared.materialised(runs(texts, size))
-    per_hash = found.groupBy("v").agg(F.min("doc").alias("d0"), F.max("doc").alias("d1"), F.min("h").alias("h0"), F.max("h").alias("h1"), F.min("n").alias("n0"), F.max("n").alias("n1"))
-    common = per_hash.where("d0 <> d1").select("v", ((F.col("h0") != F.col("h1")) | (F.col("n0") != F.col("n1"))).alias("differ"))
-    likely = shared.materialised(found.join(common, "v"))
-    content = likely.groupBy("v", "h", "n").agg(F.min("doc").alias("least"))
-    placed = likely.join(content, ["v", "h", "n"])
+    found = shared.materialised(runs(texts, size, combine))
+    per_hash = found.groupBy("v").agg(F.count(F.lit(1)).alias("times"), F.min("doc").alias("d0"), F.max("doc").alias("d1"), F.min("h").alias("h0"), F.max("h").alias("h1"), F.min("n").alias("n0"), F.max("n").alias("n1"))
+    common = shared.materialised(per_hash.where("d0 <> d1").select("v", "times", ((F.col("h0") != F.col("h1")) | (F.col("n0") != F.col("n1"))).alias("differ")))
+    likely = shared.materialised(shared.joined_by_count(found, common, ["v"], "times"))
+    content = shared.materialised(likely.groupBy("v", "h", "n").agg(F.count(F.lit(1)).alias("times"), F.min("doc").alias("least")))
+    placed = shared.joined_by_count(likely, content, ["v", "h", "n"], "times")
     whole = placed.where("least < doc").select("doc", "rid", "s", "n")
     open_runs = placed.where("least = doc AND differ").groupBy("doc", "rid").agg(F.collect_list(F.struct("s", "n")).alias("runs"))
 
@@ -97,16 +109,16 @@ def repeats(texts: DataFrame, size: int = SIZE) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([signed(tb.rolling(words, size)[at]), signed(tb.rolling(words, size, True)[at]), doc.take(pa.array(of + a)), rid.take(pa.array(of + a)), pa.array(at - first[of], pa.int32())], ["k1", "k2", "doc", "rid", "s"])
 
     hashed = shared.materialised(texts.join(open_runs, ["doc", "rid"]).select("doc", "rid", "text", "runs").mapInArrow(single, "k1 long, k2 long, doc long, rid int, s int"))
-    first = hashed.groupBy("k1", "k2").agg(F.min("doc").alias("least"), F.max("doc").alias("most")).where("least <> most")
-    one = hashed.join(first, ["k1", "k2"]).where("least < doc").select("doc", "rid", "s", F.lit(1).alias("n"))
+    first = hashed.groupBy("k1", "k2").agg(F.count(F.lit(1)).alias("times"), F.min("doc").alias("least"), F.max("doc").alias("most")).where("least <> most").drop("most")
+    one = shared.joined_by_count(hashed, shared.materialised(first), ["k1", "k2"], "times").where("least < doc").select("doc", "rid", "s", F.lit(1).alias("n"))
     return whole.union(one)
 
 
-def marked(docs: DataFrame, size: int = SIZE) -> DataFrame:
+def marked(docs: DataFrame, size: int = SIZE, combine: bool = True) -> DataFrame:
     """Every document with the ranges to remove: doc, rid, text, marks (array of s, n; null if none)."""
     texts = keyed(docs)
     known = texts.where("doc IS NOT NULL")
-    marks = repeats(known, size).groupBy("doc", "rid").agg(F.collect_list(F.struct("s", "n")).alias("marks"))
+    marks = repeats(known, size, combine).groupBy("doc", "rid").agg(F.collect_list(F.struct("s", "n")).alias("marks"))
     joined = known.join(marks, ["doc", "rid"], "left").select("doc", "rid", "text", "marks")
     kind = joined.schema["marks"].dataType
     return joined.union(texts.where("doc IS NULL").select("doc", "rid", "text", F.lit(None).cast(kind).alias("marks")))
@@ -130,7 +142,7 @@ def kept_words(text: str, marks, size: int) -> tuple[list[bytes], int]:
     return [w for w, g in zip(words, gone.tolist(), strict=True) if not g], len(words)
 
 
-def deduplicated(docs: DataFrame, size: int = SIZE) -> DataFrame:
+def deduplicated(docs: DataFrame, size: int = SIZE, combine: bool = True) -> DataFrame:
     """doc_id and the text without its repeated windows (words joined by one space)."""
 
     def cut(batches):
@@ -139,7 +151,7 @@ def deduplicated(docs: DataFrame, size: int = SIZE) -> DataFrame:
             out = [b" ".join(kept_words(t.as_py(), m.as_py(), size)[0]).decode() for t, m in zip(text, marks, strict=True)]
             yield pa.RecordBatch.from_arrays([doc, pa.array(out, pa.string())], ["doc_id", "text"])
 
-    return marked(docs, size).mapInArrow(cut, "doc_id long, text string")
+    return marked(docs, size, combine).mapInArrow(cut, "doc_id long, text string")
 
 
 def op10_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
