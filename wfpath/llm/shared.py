@@ -22,6 +22,8 @@ def shared_folder(spark: SparkSession) -> str:
     named = spark.conf.get("spark.checkpoint.dir", None)
     if named:
         return named.rstrip("/")
+    if not spark.sparkContext.master.startswith("local"):
+        raise ValueError("spark.checkpoint.dir has to name a folder that all executors share")
     own = os.path.join(tempfile.gettempdir(), "wfpath-checkpoints")
     os.makedirs(own, exist_ok=True)
     return f"file://{own}"
@@ -57,6 +59,17 @@ def running_total(df: DataFrame, bucket: str, order: list[Column | str], amount:
     return joined.select(*[out[c] for c in out.columns if c != name], (out[name] + before["_base"]).alias(name))
 
 
+def sampled(df: DataFrame, keys: list[str], most: int) -> DataFrame:
+    """About ``most`` rows of ``df`` (all, if it has no more): those whose keys have the smallest hashes.
+
+    A threshold on the hash decides, so no task orders rows, and a rerun draws the same.
+    """
+    share = min(1.0, most / max(1, df.count()))
+    if share == 1.0:
+        return df
+    return df.where(F.pmod(F.xxhash64(F.lit(77), *keys), F.lit(1 << 40)) < F.lit(int(share * (1 << 40))))
+
+
 #: A key with more than this share of the counted rows is met by broadcast; there are fewer such keys than its inverse.
 HOT = 1 / 512
 

@@ -103,9 +103,10 @@ def train(host: Sequence[str], path: Sequence[str], block: np.ndarray, rounds: i
 
 
 def labelled_sample(labelled: DataFrame, most: int = MOST) -> tuple[list[str], list[str], np.ndarray]:
-    """At most ``most`` different labelled urls (host, path, block), those with the smallest hash."""
-    rows = labelled.select("host", "path", "block").distinct().orderBy(F.xxhash64("host", "path"), "host", "path", "block").limit(most).collect()
-    return [r["host"] for r in rows], [r["path"] for r in rows], np.array([float(r["block"]) for r in rows])
+    """About ``most`` different labelled urls (host, path, block), drawn by their hash; all of them if there are no more."""
+    known = shared.materialised(labelled.select("host", "path", "block").distinct())
+    rows = sorted((r["host"], r["path"], float(r["block"])) for r in shared.sampled(known, ["host", "path"], most).collect())
+    return [r[0] for r in rows], [r[1] for r in rows], np.array([r[2] for r in rows])
 
 
 def filtered(pages: DataFrame, rules: Sequence[tuple[str, str]] = RULES, labelled: DataFrame | None = None, most: int = MOST) -> DataFrame:
