@@ -31,7 +31,8 @@ from pyspark.sql import functions as F
 from wfpath.llm import shared
 from wfpath.llm.substring_dedup import columns
 
-SAMPLE, LISTS, CODES, WIDTH = 20_000, 256, 64, 8
+#: Vectors that train the index (or 32 for each list, if that is more), lists at most, codes of a sub-space and its width.
+SAMPLE, LISTS, CODES, WIDTH = 20_000, 4096, 64, 8
 PIECE, VISITS, AT_ONCE = 4096, 16_384, 256
 SIMILAR, REACH = 0.9, 0.14
 LAST = (1 << 63) - 1
@@ -71,9 +72,9 @@ def nearest(x: np.ndarray, centres: np.ndarray) -> np.ndarray:
 class Index:
     """Coarse centroids and codebooks; all of fixed size."""
 
-    def __init__(self, sample: np.ndarray, lists: int = LISTS) -> None:
+    def __init__(self, sample: np.ndarray, lists: int) -> None:
         n, self.dim = sample.shape
-        self.centres = means(sample, max(1, min(lists, int(np.sqrt(n)))))
+        self.centres = means(sample, max(1, min(lists, n // 16)))
         self.cuts = list(range(0, self.dim, WIDTH)) + [self.dim]
         rest = sample - self.centres[nearest(sample, self.centres)]
         self.books = [means(rest[:, a:b], CODES, 8) for a, b in zip(self.cuts[:-1], self.cuts[1:], strict=True)]
@@ -170,9 +171,10 @@ def _links(columns_) -> pa.RecordBatch:
 def linked(reps: DataFrame, dim: int, similar: float = SIMILAR, reach: float = REACH) -> DataFrame:
     """Link rows (a, b, n) between classes of one dimension: n counts a's links, (a, b) rows keep the components."""
     spark = reps.sparkSession
-    # a bounded sample: the vectors with the smallest hashes
-    sample = reps.select("k1", "e").orderBy(F.xxhash64("k1"), "k1").limit(SAMPLE).toArrow()
-    index = Index(unit(matrix(sample.column("e").combine_chunks(), dim)))
+    # lists grow with the root of the vectors, so a list does too; the sample that trains them is bounded
+    lists = max(1, min(LISTS, int(np.sqrt(reps.count()))))
+    sample = shared.sampled(reps.select("k1", "e"), ["k1"], max(SAMPLE, 32 * lists)).orderBy("k1").toArrow()
+    index = Index(unit(matrix(sample.column("e").combine_chunks(), dim)) if len(sample) else np.ones((1, dim)) / np.sqrt(dim), lists)
     shared_index = spark.sparkContext.broadcast(index)
 
     def spread(batches):
