@@ -180,7 +180,11 @@ def common_shingles(texts: DataFrame, n_docs: int, size: int = WORDS, sample: in
 
     some = texts.where(F.pmod(F.xxhash64("doc", "rid"), F.lit(every)) == 0)
     counted = some.select("text").mapInArrow(scan, "shingle long").groupBy("shingle").count().where(F.col("count") >= COMMON_FROM)
-    found = counted.orderBy(F.desc("count"), "shingle").limit(most).select("shingle").toArrow().column("shingle").to_numpy()
+    counted = shared.materialised(counted)
+    # the lowest count from which on there are at most ``most``: only those come to the driver
+    above = counted.groupBy("count").agg(F.count(F.lit(1)).alias("n")).select("count", F.sum("n").over(Window.orderBy(F.desc("count"))).alias("upto"))
+    lowest = above.where(F.col("upto") <= most).agg(F.min("count").alias("c")).first()["c"]
+    found = counted.where(F.col("count") >= (lowest if lowest is not None else 1 << 62)).select("shingle").toArrow().column("shingle").to_numpy()
     return np.sort(found.astype(np.int64).view(U64))
 
 
@@ -309,7 +313,10 @@ def linked(texts: DataFrame, size: int = WORDS, margin: float = MARGIN) -> tuple
     described_docs = shared.materialised(described(texts, size))
     classes = described_docs.where("n > 0").groupBy("g", "g2", "n").agg(F.min(F.struct("doc", "rid")).alias("least"), F.first("bits").alias("bits"))
     classes = shared.materialised(classes.select("g", "g2", "n", "least.doc", "least.rid", "bits"))
-    rows = signed_sets(texts, common_shingles(texts, described_docs.count(), size), size, margin)
+    # of texts with the same set one goes on, so a popular set is no popular key; rows that share id and text are alike
+    firsts = texts.select("doc", "rid", "text").join(classes.select("doc", "rid", "g", "n"), ["doc", "rid"])
+    firsts = shared.materialised(firsts)
+    rows = signed_sets(firsts, common_shingles(texts, described_docs.count(), size), size, margin)
     rows = rows.repartition("sig").sortWithinPartitions("sig", "role", "g")
     buckets = shared.materialised(rows.mapInArrow(_tagged, "sig long, pivot long, g long, role byte, spare int"))
     uncovered = buckets.where("role = 2").select("g").distinct()
@@ -320,7 +327,7 @@ def linked(texts: DataFrame, size: int = WORDS, margin: float = MARGIN) -> tuple
     weighed = shared.materialised(weighed.withColumn("active", fullest > F.col("spare")).drop("spare"))
     any_active = weighed.groupBy("sig").agg(F.max("active").alias("used")).where("used").select("sig")
     buckets = shared.materialised(weighed.join(any_active, "sig"))
-    rest = shared.materialised(_rest(texts, uncovered, size)) if uncovered.limit(1).count() else None
+    rest = shared.materialised(_rest(firsts, uncovered, size)) if uncovered.limit(1).count() else None
 
     def sets(batches):
         for batch in batches:
@@ -336,8 +343,7 @@ def linked(texts: DataFrame, size: int = WORDS, margin: float = MARGIN) -> tuple
     wanted = buckets.select("g")
     if rest is not None:
         wanted = wanted.union(rest.select("a")).union(rest.select("b"))
-    chosen = classes.join(wanted.distinct(), "g").select("g", "n", "doc", "rid")
-    arrays = texts.select("doc", "rid", "text").join(chosen, ["doc", "rid"]).select("g", "n", "doc", "text").mapInArrow(sets, "g long, n long, doc long, hashes binary")
+    arrays = firsts.join(wanted.distinct(), "g").select("g", "n", "doc", "text").mapInArrow(sets, "g long, n long, doc long, hashes binary")
     arrays = shared.materialised(arrays)
     side = lambda x: arrays.select(F.col("g").alias(x), F.col("n").alias(f"n{x}"), F.col("doc").alias(f"d{x}"), F.col("hashes").alias(f"s{x}"))
     slim = lambda x: arrays.select(F.col("g").alias(x), F.col("n").alias(f"n{x}"))
@@ -426,8 +432,9 @@ def joined_documents(docs: DataFrame, size: int = WORDS, margin: float = MARGIN)
     """doc_id, n_shingles, component_id of every row."""
     texts = keyed(docs)
     sets, comps = linked(texts, size, margin)
-    classes = sets.where("n > 0").groupBy("g", "g2", "n").agg(F.min("doc").alias("least"))
-    x = sets.join(classes, ["g", "g2", "n"], "left")
+    classes = shared.materialised(sets.where("n > 0").groupBy("g", "g2", "n").agg(F.count(F.lit(1)).alias("times"), F.min("doc").alias("least")))
+    filled = shared.joined_by_count(sets.where("n > 0").drop("bits"), classes, ["g", "g2", "n"], "times")
+    x = filled.unionByName(sets.where("n = 0").drop("bits").withColumn("least", F.lit(None).cast("long")))
     x = x.join(comps, x["least"] == comps["id"], "left")
     component = F.coalesce("component", "least", "doc")
     null_last = lambda c: F.when(c != LAST, c)
