@@ -38,8 +38,11 @@ def member(cycle: int, offset: int | Column, idx: Column) -> Column:
 
 
 def pack(label: Column) -> Column:
-    """Ten bytes an entry: kind, a, b, idx, big-endian."""
-    wide = lambda x, n: F.lpad(F.hex(x.cast("bigint")), n, "0")
+    """Ten bytes an entry: kind, a, b, idx, big-endian; an entry that needs more raises an error."""
+    def wide(x: Column, n: int) -> Column:
+        digits = F.hex(x.cast("bigint"))
+        return F.when(F.length(digits) <= n, F.lpad(digits, n, "0")).otherwise(F.raise_error(F.lit("an entry is too large to pack")).cast("string"))
+
     return F.unhex(F.array_join(F.transform(label, lambda e: F.concat(wide(e["kind"], 2), wide(e["a"], 4), wide(e["b"], 4), wide(e["idx"], 10))), ""))
 
 
@@ -221,12 +224,12 @@ def body_reaches(spec: Spec, k: Column, i: Column, j: Column) -> Column:
 def levels(nodes: DataFrame, spec: Spec) -> DataFrame:
     """One row for each ancestor of each node: depth, packed prefix, entry, next entry, colour of the next entry."""
     colours = {(p.number, i): spec.colour(p.number, i) for p in spec.productions for i in range(1, len(p.body) + 1)}
-    red = [k * 1000 + i for (k, i), c in colours.items() if c == "red"]
-    blue = [k * 1000 + i for (k, i), c in colours.items() if c == "blue"]
+    red = [(k << 16) + i for (k, i), c in colours.items() if c == "red"]
+    blue = [(k << 16) + i for (k, i), c in colours.items() if c == "blue"]
     x = nodes.withColumn("_key", pack(F.col("label")))
     x = x.select("*", F.posexplode("label").alias("depth", "entry"))
     x = x.withColumn("prefix", prefix(F.col("_key"), F.col("depth"))).withColumn("onward", F.get("label", F.col("depth") + 1)).drop("_key")
-    code = F.col("onward.a") * 1000 + F.col("onward.b")
+    code = F.col("onward.a").cast("bigint") * (1 << 16) + F.col("onward.b")
     return x.withColumn("colour", F.when(code.isin(red), "red").when(code.isin(blue), "blue") if red or blue else F.lit(None).cast("string"))
 
 

@@ -26,26 +26,52 @@ def listed(nodes: DataFrame, part: DataFrame | None) -> DataFrame:
     return own.join(part.select("run_id", "node_id").dropDuplicates(), ["run_id", "node_id"], "left_semi")
 
 
-#: Slices of a run's first list; each meets the whole second list in a task of its own.
-SLICES = 16
+#: Nodes of each list in a tile of the nested method: at most this squared pairs are one task's.
+SIDE = 1024
 
 
-def nested(nodes: DataFrame, plan: SafePlan, l1: DataFrame | None = None, l2: DataFrame | None = None, slices: int = SLICES) -> DataFrame:
+def nested(nodes: DataFrame, plan: SafePlan, l1: DataFrame | None = None, l2: DataFrame | None = None, side: int = SIDE) -> DataFrame:
     """Every pair of nodes of a run, tested by labels; the work is |l1| times |l2| in each run.
 
-    The first list is cut into ``slices`` by node, so that one large run isn't one task.
+    Both lists of a run are cut by their counted sizes into parts of about ``side`` nodes, and each
+    pair of parts is a tile, so a run of any size spreads over tasks; a run of one tile copies nothing.
     """
     decoder = Decoder(plan)
-    u = masked(listed(nodes, l1), decoder, entries=False).select("run_id", F.col("node_id").alias("src"), F.col("label").alias("ulabel"), "exits")
-    v = masked(listed(nodes, l2), decoder, exits=False).select("run_id", F.col("node_id").alias("dst"), F.col("label").alias("vlabel"), "entries")
-    u = u.withColumn("slice", F.pmod(F.xxhash64("src"), F.lit(slices)))
-    v = v.withColumn("slice", F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(slices - 1).cast("bigint"))))
+    u0, v0 = listed(nodes, l1), listed(nodes, l2)
+    parts = lambda x, name: x.groupBy("run_id").agg(F.ceil(F.count(F.lit(1)) / side).cast("int").alias(name))
+    grid = parts(u0, "rows").join(parts(v0, "columns"), "run_id")
+    u = masked(u0, decoder, entries=False).select("run_id", F.col("node_id").alias("src"), F.col("label").alias("ulabel"), "exits").join(grid, "run_id")
+    v = masked(v0, decoder, exits=False).select("run_id", F.col("node_id").alias("dst"), F.col("label").alias("vlabel"), "entries").join(grid, "run_id")
+    every = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
+    u = u.withColumn("i", F.pmod(F.xxhash64("src"), F.col("rows")).cast("int")).withColumn("j", every("columns")).drop("rows", "columns")
+    v = v.withColumn("j", F.pmod(F.xxhash64("dst"), F.col("columns")).cast("int")).withColumn("i", every("rows")).drop("rows", "columns")
     # a number is named, as adaptive planning would else put these few rows with their many pairs into one task
-    n = max(2 * slices, int(nodes.sparkSession.conf.get("spark.sql.shuffle.partitions")))
-    pairs = u.repartition(n, "run_id", "slice").join(v, ["run_id", "slice"])
+    n = max(32, int(nodes.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+    pairs = u.repartition(n, "run_id", "i", "j").join(v, ["run_id", "i", "j"])
     return pairs.where(decided(pairs, decoder)).select(*PAIR)
 
 
+def _bits(of: str, upto: str, value: int) -> str:
+    """The places up to the top bit of ``upto`` at which ``of`` has this bit."""
+    return f"filter(sequence(0, length(bin({upto})) - 1), k -> (shiftright({of}, k) & 1) = {value})"
+
+
+def lower_half(rows: DataFrame, at: str, tops: DataFrame, keys: list[str]) -> DataFrame:
+    """Rows with a ``mid`` for each larger place they can meet: see ``upper_half``.  ``tops`` has the largest place (top) by keys."""
+    x = rows.join(tops, keys).where(f"{at} < top")
+    return x.withColumn("mid", F.explode(F.expr(f"filter(transform({_bits(at, 'top', 0)}, k -> shiftleft(shiftright({at}, k) | 1, k)), m -> m <= top)"))).drop("top")
+
+
+def upper_half(rows: DataFrame, at: str) -> DataFrame:
+    """Rows with a ``mid`` for each smaller place they can meet.
+
+    Two places i < j share exactly one mid: what their leading bits have in common, then 1, then
+    zeros.  So ``i < j`` becomes an equi-join on mid, where every pair that meets is a pair that is
+    wanted, and a row is copied at most once for each bit of a place.
+    """
+    return rows.withColumn("mid", F.explode(F.expr(f"transform({_bits(at, at, 1)}, k -> shiftleft(shiftright({at}, k), k))")))
+
+
 def _targets(spec: Spec, what: str):
     """Positions that a body position reaches, as an exploded column."""
     first, width, _ = reach_table(spec)
@@ -68,7 +94,8 @@ def met(u: DataFrame, v: DataFrame, spec: Spec) -> DataFrame:
 
     Within a body the rows of the first list are multiplied by the positions they reach, so the meeting is
     an equi-join; in a chain only nodes that lead to the recursive slot (red) meet later members, and
-    later members meet only nodes behind the slot (blue).
+    later members meet only nodes behind the slot (blue), by halves of ranges of members, so that only pairs
+    that are found are ever joined.
     """
     body_u = u.where("entry.kind = 0").withColumn("j", F.explode(_targets(spec, "entry")))
     body_v = v.where("entry.kind = 0").withColumn("j", F.col("entry.b")).withColumn("k", F.col("entry.a"))
@@ -76,12 +103,14 @@ def met(u: DataFrame, v: DataFrame, spec: Spec) -> DataFrame:
     body = body.select("run_id", F.col("u.node_id").alias("src"), F.col("v.node_id").alias("dst"))
     if not spec.cycles:
         return body
-    chain = lambda x, c: x.where(f"entry.kind = 1{c}").withColumn("s", F.col("entry.a")).withColumn("t", F.col("entry.b")).withColumn("i", F.col("entry.idx"))
     on = ["run_id", "prefix", "s", "t"]
-    pick = ["run_id", F.col("u.node_id").alias("src"), F.col("v.node_id").alias("dst")]
-    later = chain(u, " AND colour = 'red'").alias("u").join(chain(v, "").alias("v"), on).where("u.i < v.i").select(*pick)
-    earlier = chain(u, "").alias("u").join(chain(v, " AND colour = 'blue'").alias("v"), on).where("u.i > v.i").select(*pick)
-    return body.union(later).union(earlier)
+    chain = lambda x, c: x.where(f"entry.kind = 1{c}").select("run_id", "node_id", "prefix", F.col("entry.a").alias("s"), F.col("entry.b").alias("t"), F.col("entry.idx").alias("i"))
+    tops = lambda x: x.groupBy(*on).agg(F.max("i").alias("top"))
+    red, blue, us, vs = chain(u, " AND colour = 'red'"), chain(v, " AND colour = 'blue'"), chain(u, ""), chain(v, "")
+    named = lambda x, name: x.select(*on, "mid", F.col("node_id").alias(name))
+    later = named(lower_half(red, "i", tops(vs), on), "src").join(named(upper_half(vs, "i"), "dst"), [*on, "mid"])
+    earlier = named(upper_half(us, "i"), "src").join(named(lower_half(blue, "i", tops(us), on), "dst"), [*on, "mid"])
+    return body.union(later.select(*PAIR)).union(earlier.select(*PAIR))
 
 
 def reachable(nodes: DataFrame, spec: Spec, l1: DataFrame | None = None, l2: DataFrame | None = None) -> DataFrame:
@@ -106,6 +135,10 @@ def state_set(nodes: DataFrame, plan: SafePlan, l1: DataFrame | None = None, l2:
     """Matching pairs by groups of nodes with the same ancestor and the same state mask.
 
     ``output``: pairs; count (rows run_id, n); exists (runs with a match); sources; targets.
+
+    In a chain the masks of both sides are carried to the middle of the range of members where they
+    meet, and grouped there: the groups that meet are as many as there are different masks, however
+    long the chain, and all outputs but pairs take time in proportion to its length and its bits.
     """
     spec, d = plan.spec, Decoder(plan)
     u0 = masked(listed(nodes, l1), d, entries=False)
@@ -116,50 +149,50 @@ def state_set(nodes: DataFrame, plan: SafePlan, l1: DataFrame | None = None, l2:
     body_u = u.where("entry.kind = 0 AND mask <> 0").withColumn("j", F.explode(_targets(spec, "entry"))).withColumn("k", F.col("entry.a"))
     body_u = body_u.withColumn("m", d.same_body(F.col("mask"), F.col("k"), F.col("entry.b"), F.col("j"))).where("m <> 0")
     body_v = v.where("entry.kind = 0 AND mask <> 0").withColumn("k", F.col("entry.a")).withColumn("j", F.col("entry.b")).withColumn("m", F.col("mask"))
-    kinds = [(body_u, body_v, ["k", "j"], None)]
+    kinds = [(body_u, body_v, ["k", "j"])]
     if spec.cycles:
         a, b = F.col("onward.a"), F.col("onward.b")
         slot = F.get(d.slots, a)
-        chain = lambda x: x.where("entry.kind = 1").withColumn("s", F.col("entry.a")).withColumn("t", F.col("entry.b")).withColumn("i", F.col("entry.idx"))
-        red = chain(u).where("colour = 'red'").withColumn("m", d.same_body(F.col("inner"), a, b, slot)).where("m <> 0")
-        # behind the slot: states on entering the slot's successor side from which the node is reached
-        blue = chain(v).where("colour = 'blue'").withColumn("m", d.between.backward(F.col("inner"), d.pair(a, slot, b))).where("m <> 0")
-        kinds.append((red, chain(v).where("mask <> 0").withColumn("m", F.col("mask")), ["s", "t"], "later"))
-        kinds.append((chain(u).where("mask <> 0").withColumn("m", F.col("mask")), blue, ["s", "t"], "earlier"))
+        on = ["run_id", "prefix", "s", "t"]
+        chain = lambda x, m: x.withColumn("s", F.col("entry.a")).withColumn("t", F.col("entry.b")).withColumn("i", F.col("entry.idx")).withColumn("m", m).where("m <> 0").select("run_id", "node_id", *on[1:], "i", "m")
+        tops = lambda x: x.groupBy(*on).agg(F.max("i").alias("top"))
+        # red: states on entering the next member; blue: states on leaving the next member from which the node is reached
+        red = chain(u.where("entry.kind = 1 AND colour = 'red'"), d.same_body(F.col("inner"), a, b, slot))
+        blue = chain(v.where("entry.kind = 1 AND colour = 'blue'"), d.between.backward(F.col("inner"), d.pair(a, slot, b)))
+        us, vs = chain(u.where("entry.kind = 1"), F.col("mask")), chain(v.where("entry.kind = 1"), F.col("mask"))
+        s, t, i, mid, n = F.col("s"), F.col("t"), F.col("i"), F.col("mid"), d.length(F.col("s"))
+        into, outof = lambda x: (t + x - 2 + n) % n, lambda x: (t + x - 3 + n) % n
+        carried = lambda x, m: x.withColumn("m", m).where("m <> 0").drop("i")
+        later_u = carried(lower_half(red, "i", tops(vs), on), d.enter.forward(F.col("m"), d.steps("enter", s, into(i + 1), mid - 1 - i)))
+        later_v = carried(upper_half(vs, "i"), d.enter.backward(F.col("m"), d.steps("enter", s, into(mid), i - mid)))
+        earlier_u = carried(upper_half(us, "i"), d.leave.forward(F.col("m"), d.steps("leave", s, outof(i), i - mid)))
+        earlier_v = carried(lower_half(blue, "i", tops(us), on), d.leave.backward(F.col("m"), d.steps("leave", s, outof(mid), mid - 1 - i)))
+        kinds += [(later_u, later_v, ["s", "t", "mid"]), (earlier_u, earlier_v, ["s", "t", "mid"])]
     found = None
-    for left, right, keys, way in kinds:
-        own = ["run_id", "prefix", *keys, *(["i"] if way else []), "m"]
-        gu = left.groupBy(*own).agg(F.count(F.lit(1)).alias("nu"))
-        gv = right.groupBy(*own).agg(F.count(F.lit(1)).alias("nv"))
+    for left, right, keys in kinds:
         on = ["run_id", "prefix", *keys]
-        g = gu.withColumnRenamed("m", "mu").withColumnRenamed("i", "iu").join(gv.withColumnRenamed("m", "mv").withColumnRenamed("i", "iv"), on)
-        if way == "later":
-            n = d.length(F.col("s"))
-            passed = d.enter.forward(F.col("mu"), d.steps("enter", F.col("s"), (F.col("t") - 1 + F.col("iu")) % n, F.col("iv") - 1 - F.col("iu")))
-            g = g.where("iu < iv").where(passed.bitwiseAND(F.col("mv")) != 0)
-        elif way == "earlier":
-            n = d.length(F.col("s"))
-            passed = d.leave.forward(F.col("mu"), d.steps("leave", F.col("s"), (F.col("t") - 1 + F.col("iu") - 2 + n) % n, F.col("iu") - 1 - F.col("iv")))
-            g = g.where("iu > iv").where(passed.bitwiseAND(F.col("mv")) != 0)
-        else:
-            g = g.where(F.col("mu").bitwiseAND(F.col("mv")) != 0)
-        if output in ("count", "exists"):
+        gu = left.groupBy(*on, F.col("m").alias("mu")).agg(F.count(F.lit(1)).alias("nu"))
+        gv = right.groupBy(*on, F.col("m").alias("mv")).agg(F.count(F.lit(1)).alias("nv"))
+        g = gu.join(gv, on).where(F.col("mu").bitwiseAND(F.col("mv")) != 0)
+        lu = left.select(*on, F.col("m").alias("mu"), F.col("node_id").alias("src"))
+        rv = right.select(*on, F.col("m").alias("mv"), F.col("node_id").alias("dst"))
+        if output == "count":
             part = g.groupBy("run_id").agg(F.sum(F.col("nu") * F.col("nv")).alias("n"))
+        elif output == "exists":
+            part = g.select("run_id").distinct()
+        elif output == "sources":
+            part = lu.join(g.select(*on, "mu").distinct(), [*on, "mu"], "left_semi").select("run_id", F.col("src").alias("node_id"))
+        elif output == "targets":
+            part = rv.join(g.select(*on, "mv").distinct(), [*on, "mv"], "left_semi").select("run_id", F.col("dst").alias("node_id"))
         else:
-            lu = left.select(*on, *([F.col("i").alias("iu")] if way else []), F.col("m").alias("mu"), F.col("node_id").alias("src"))
-            rv = right.select(*on, *([F.col("i").alias("iv")] if way else []), F.col("m").alias("mv"), F.col("node_id").alias("dst"))
-            left_keys, right_keys = [*on, *(["iu"] if way else []), "mu"], [*on, *(["iv"] if way else []), "mv"]
-            if output == "sources":
-                part = lu.join(g.select(*left_keys).distinct(), left_keys, "left_semi").select("run_id", F.col("src").alias("node_id"))
-            elif output == "targets":
-                part = rv.join(g.select(*right_keys).distinct(), right_keys, "left_semi").select("run_id", F.col("dst").alias("node_id"))
-            else:
-                part = g.select(*dict.fromkeys([*left_keys, *right_keys])).join(lu, left_keys).join(rv, right_keys).select(*PAIR)
+            part = g.select(*on, "mu", "mv").join(lu, [*on, "mu"]).join(rv, [*on, "mv"]).select(*PAIR)
         found = part if found is None else found.union(part)
     if d.accepts_empty:
         both = u0.select("run_id", "node_id").intersect(v0.select("run_id", "node_id"))
-        if output in ("count", "exists"):
+        if output == "count":
             found = found.union(both.groupBy("run_id").agg(F.count(F.lit(1)).alias("n")))
+        elif output == "exists":
+            found = found.union(both.select("run_id"))
         elif output in ("sources", "targets"):
             found = found.union(both)
         else:
@@ -167,5 +200,5 @@ def state_set(nodes: DataFrame, plan: SafePlan, l1: DataFrame | None = None, l2:
     if output == "count":
         return found.groupBy("run_id").agg(F.sum("n").cast("long").alias("n"))
     if output == "exists":
-        return found.select("run_id").distinct()
+        return found.distinct()
     return found.distinct() if output in ("sources", "targets") else found

@@ -86,6 +86,8 @@ class Spec:
         made = []
         for number, (lhs, body, edges) in enumerate(rules, 1):
             body = tuple(body)
+            if number >= 1 << 16 or len(body) >= 1 << 16:
+                raise BadSpec("labels hold productions and positions in two bytes")
             if not body:
                 raise BadSpec(f"production {number} of {lhs} has an empty body")
             full = []

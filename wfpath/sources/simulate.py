@@ -114,8 +114,8 @@ def labels_from_log(log: DataFrame, spec: Spec) -> DataFrame:
     """
     slots = {(k, i): c.number for c in spec.cycles for k, i in c.slots}
     entered = {m: t for m, (c, t) in spec.place.items()}
-    code = F.col("prod") * 1000 + F.col("pos")
-    inner = code.isin([k * 1000 + i for k, i in slots]) if slots else F.lit(False)
+    code = F.col("prod").cast("bigint") * (1 << 16) + F.col("pos")
+    inner = code.isin([(k << 16) + i for k, i in slots]) if slots else F.lit(False)
     cycle_of = F.coalesce(*[F.when(F.col("module") == m, c) for m, (c, _) in spec.place.items()]) if spec.place else F.lit(None).cast("int")
     offset_of = F.coalesce(*[F.when(F.col("module") == m, t) for m, t in entered.items()]) if entered else F.lit(None).cast("int")
     x = log.select("run_id", "exec", "parent", "prod", "pos", "module", inner.alias("on"), cycle_of.alias("cycle"), offset_of.alias("offset"))
