@@ -16,20 +16,47 @@ from wfpath.plans.spec import Spec
 from wfpath.sources.runs import write_index
 
 PAIR = ["run_id", "src", "dst"]
-__all__ = ["PAIR", "Rounds", "closure", "concatenated", "cut", "delta_table", "identity", "ifq_index", "indexed", "join_tree", "product_graph", "product_walk", "rare_tag", "tag_counts", "write_index"]
+__all__ = ["PAIR", "Pile", "Rounds", "bounded_closure", "closure", "concatenated", "cut", "delta_table", "identity", "ifq_index", "indexed", "join_tree", "product_graph", "product_walk", "rare_tag", "shared_folder", "spread_from", "tag_counts", "write_index"]
+
+
+def shared_folder(spark: SparkSession) -> str:
+    """The folder that all executors share; one of our own only in local sessions that name none (tests)."""
+    named = spark.conf.get("spark.checkpoint.dir", None)
+    if named:
+        return named.rstrip("/")
+    if not spark.sparkContext.master.startswith("local"):
+        raise ValueError("spark.checkpoint.dir has to name a folder that all executors share")
+    return "file://" + os.path.join(tempfile.gettempdir(), "wfpath-checkpoints")
 
 
 def cut(df: DataFrame) -> DataFrame:
     """The rows written to the folder that all executors share, and read back: a loop's lineage ends there."""
     spark = df.sparkSession
-    folder = spark.conf.get("spark.checkpoint.dir", None)
-    if not folder:
-        folder = "file://" + os.path.join(tempfile.gettempdir(), "wfpath-checkpoints")
-    path = f"{folder.rstrip('/')}/rows-{uuid.uuid4().hex}"
+    path = f"{shared_folder(spark)}/rows-{uuid.uuid4().hex}"
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
+class Pile:
+    """A table that a loop adds to: one folder, so that its plan stays one scan however many rounds there are."""
+
+    def __init__(self, first: DataFrame) -> None:
+        self.spark, self.schema = first.sparkSession, first.schema
+        self.path = f"{shared_folder(self.spark)}/pile-{uuid.uuid4().hex}"
+        self.parts = 0
+        self.add(first)
+
+    def add(self, df: DataFrame) -> DataFrame:
+        """Adds rows; gives just these back, from the folder."""
+        path = f"{self.path}/part={self.parts}"
+        df.write.parquet(path)
+        self.parts += 1
+        return self.spark.read.schema(self.schema).parquet(path)
+
+    def rows(self) -> DataFrame:
+        return self.spark.read.schema(self.schema).option("recursiveFileLookup", "true").parquet(self.path)
+
+
 def _empty(df: DataFrame) -> bool:
     return df.limit(1).count() == 0
 
@@ -43,21 +70,55 @@ def product_graph(edges: DataFrame, dfa: Dfa) -> DataFrame:
     return edges.join(F.broadcast(delta_table(edges.sparkSession, dfa)), "tag").select("run_id", "src", "q", "dst", "q2", "tag")
 
 
-def product_walk(nodes: DataFrame, edges: DataFrame, dfa: Dfa, l1: DataFrame | None = None, l2: DataFrame | None = None) -> DataFrame:
-    """Pairs found by walking the run and the automaton together from every source; the frontier is only what is new."""
-    graph = cut(product_graph(edges, dfa))
-    begin = (nodes if l1 is None else l1).select("run_id", F.col("node_id").alias("src")).dropDuplicates()
-    if l1 is not None:
-        begin = begin.join(nodes.select("run_id", F.col("node_id").alias("src")), ["run_id", "src"], "left_semi")
-    seen = cut(begin.select("run_id", "src", F.col("src").alias("at"), F.lit(0).alias("q")))
-    front = seen
+#: A step's shortcuts are squared while they have at most so many rows for each edge.
+SHORTCUTS = 48
+STATE = ["run_id", "at", "q"]
+
+
+def spread_from(start: DataFrame, graph: DataFrame, most: int = SHORTCUTS, counter: Rounds | None = None) -> DataFrame:
+    """Everything that is reached from ``start`` (run_id, src, at, q) over ``graph`` (run_id, at, q, dst, q2), start included.
+
+    Squaring the graph gives hops of exactly 2^k steps and of at most 2^k; it goes on while both
+    stay small against the edges.  Long hops are then repeated from what they found last until they
+    find nothing new, and short ones fill in what lies between, once.  So the rounds are fewer than
+    the steps of the longest path by the hop's length, and each adds to one folder.
+    """
+    then = lambda x, y: x.select("run_id", F.col("at").alias("at0"), F.col("q").alias("q0"), F.col("dst").alias("at"), F.col("q2").alias("q")).join(y, STATE).select("run_id", F.col("at0").alias("at"), F.col("q0").alias("q"), "dst", "q2")
+    exact = upto = cut(graph.select(*STATE, "dst", "q2").distinct())
+    edges = upto.count()
+    size = edges
+    while edges and size * 3 <= most * edges:
+        longer = cut(then(exact, exact).distinct())
+        size = longer.count()
+        if not size:
+            break
+        upto = cut(upto.union(longer).union(then(exact, upto)).distinct())
+        exact = longer
+        size = max(size, upto.count())
+        if counter is not None:
+            counter.joins += 2
+    seen = Pile(start.select("run_id", "src", "at", "q").distinct())
+    front = seen.rows()
     while True:
-        g = graph.select("run_id", F.col("src").alias("at"), "q", "dst", "q2")
-        then = front.join(g, ["run_id", "at", "q"]).select("run_id", "src", F.col("dst").alias("at"), F.col("q2").alias("q")).distinct()
-        front = cut(then.join(seen, ["run_id", "src", "at", "q"], "left_anti"))
+        if counter is not None:
+            counter.rounds += 1
+            counter.joins += 1
+        step = front.join(exact, STATE).select("run_id", "src", F.col("dst").alias("at"), F.col("q2").alias("q")).distinct()
+        front = seen.add(step.join(seen.rows(), ["run_id", "src", "at", "q"], "left_anti"))
         if _empty(front):
             break
-        seen = seen.union(front)
+    far = seen.rows()
+    between = far.join(upto, STATE).select("run_id", "src", F.col("dst").alias("at"), F.col("q2").alias("q"))
+    return far.union(between).distinct()
+
+
+def product_walk(nodes: DataFrame, edges: DataFrame, dfa: Dfa, l1: DataFrame | None = None, l2: DataFrame | None = None, counter: Rounds | None = None) -> DataFrame:
+    """Pairs found by walking the run and the automaton together from every source, several steps a round."""
+    graph = product_graph(edges, dfa).select("run_id", F.col("src").alias("at"), "q", "dst", "q2")
+    begin = (nodes if l1 is None else l1).select("run_id", F.col("node_id").alias("src")).dropDuplicates()
+    if l1 is not None:
+        begin = begin.join(nodes.select("run_id", F.col("node_id").alias("src")), ["run_id", "src"], "left_semi")
+    seen = spread_from(begin.select("run_id", "src", F.col("src").alias("at"), F.lit(0).alias("q")), graph, counter=counter)
     found = seen.where(F.col("q").isin([*sorted(dfa.finals)]) if dfa.finals else F.lit(False)).select("run_id", "src", F.col("at").alias("dst")).distinct()
     return _to(found, l2)
 
@@ -93,17 +154,25 @@ def closure(pairs: DataFrame, mode: str = "semi", counter: Rounds | None = None)
     found; ``double`` joins what was found with itself, so rounds grow with the logarithm of the longest chain.
     """
     base = cut(pairs.distinct())
-    seen, front = base, base
+    pile = Pile(base)
+    front = base
     while True:
         if counter is not None:
             counter.rounds += 1
             counter.joins += 1
+        seen = pile.rows()
         step = {"linear": lambda: (seen, base), "semi": lambda: (front, base), "double": lambda: (seen, seen)}[mode]()
-        new = cut(concatenated(*step).join(seen, PAIR, "left_anti"))
-        if _empty(new):
-            return seen
-        front = new
-        seen = cut(seen.union(new)) if mode != "semi" else seen.union(new)
+        front = pile.add(concatenated(*step).join(seen, PAIR, "left_anti"))
+        if _empty(front):
+            return pile.rows()
+
+
+def bounded_closure(pairs: DataFrame, l1: DataFrame, counter: Rounds | None = None) -> DataFrame:
+    """One or more steps of a relation from given sources only."""
+    base = cut(pairs.distinct())
+    graph = base.select("run_id", F.col("src").alias("at"), F.lit(0).alias("q"), "dst", F.lit(0).alias("q2"))
+    first = _from(base, l1).select("run_id", "src", F.col("dst").alias("at"), F.lit(0).alias("q"))
+    return spread_from(first, graph, counter=counter).select("run_id", "src", F.col("at").alias("dst"))
 
 
 def identity(nodes: DataFrame) -> DataFrame:
@@ -152,16 +221,18 @@ def tag_counts(edges: DataFrame) -> dict[str, int]:
     return {r["tag"]: r["count"] for r in edges.groupBy("tag").count().collect()}
 
 
-def rare_tag(query: Node, nodes: DataFrame, edges: DataFrame, spec: Spec, threshold: int, l1: DataFrame | None = None, l2: DataFrame | None = None, counts: dict[str, int] | None = None) -> DataFrame:
-    """Cut the query at a mandatory tag with few edges; walk backwards and forwards from those edges.
+def rare_tag(query: Node, nodes: DataFrame, edges: DataFrame, spec: Spec, threshold: int = 0, l1: DataFrame | None = None, l2: DataFrame | None = None, counts: dict[str, int] | None = None) -> DataFrame:
+    """Cut the query at mandatory tags of its top level; walk backwards and forwards from their edges.
 
-    Several rare tags cut it into several pieces.  Without one the whole query is walked.
+    It is cut at all of them with fewer than ``threshold`` edges, or else at the rarest one.  A query
+    without such a tag is refused, as it would be walked as a whole.
     """
     counts = tag_counts(edges) if counts is None else counts
     parts = list(query.parts) if query.kind == "cat" else [query]
-    rare = [i for i, p in enumerate(parts) if p.kind == "tag" and counts.get(p.tag, 0) < threshold]
-    if not rare:
-        return product_walk(nodes, edges, rpq.compile_(query, spec.tags), l1, l2)
+    tagged = [i for i, p in enumerate(parts) if p.kind == "tag"]
+    if not tagged:
+        raise ValueError("no tag at the top of the query: nothing to start a search from")
+    rare = [i for i in tagged if counts.get(parts[i].tag, 0) < threshold] or [min(tagged, key=lambda i: counts.get(parts[i].tag, 0))]
     hits = {i: edges.where(F.col("tag") == parts[i].tag).select(*PAIR).distinct() for i in rare}
     ends = lambda pairs, side: pairs.select("run_id", F.col(side).alias("node_id")).distinct()
     back_edges = edges.select("run_id", F.col("dst").alias("src"), F.col("src").alias("dst"), "tag")

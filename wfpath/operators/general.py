@@ -125,25 +125,12 @@ def evaluate_plan(part: Part, run: RunData, l1: DataFrame | None = None, l2: Dat
             return out
         case "star" | "plus":
             inner = evaluate_plan(part.parts[0], run, None, None, counter)
-            out = baseline.closure(inner, "semi" if l1 is not None else "double", counter) if l1 is None else _bounded(inner, l1, counter)
+            out = baseline.closure(inner, "semi" if l1 is not None else "double", counter) if l1 is None else baseline.bounded_closure(inner, l1, counter)
             out = out if part.kind == "plus" else out.union(baseline.identity(nodes if l1 is None else allpairs.listed(nodes, l1))).distinct()
             return baseline._to(baseline._from(out, l1), l2)
     return baseline._to(baseline._from(baseline.join_tree(part.query, nodes, edges), l1), l2)
 
 
-def _bounded(relation: DataFrame, l1: DataFrame, counter: Rounds | None) -> DataFrame:
-    """One or more steps from given sources only."""
-    base = baseline.cut(relation.distinct())
-    front = seen = baseline.cut(baseline._from(base, l1))
-    while True:
-        if counter is not None:
-            counter.rounds += 1
-        front = baseline.cut(baseline.concatenated(front, base).join(seen, PAIR, "left_anti"))
-        if front.limit(1).count() == 0:
-            return seen
-        seen = seen.union(front)
-
-
 @dataclass(frozen=True)
 class Choice:
     method: str

@@ -287,11 +287,7 @@ QUERIES["supply_rollup"] = lambda s, d: _rollup(s, d)
 ORACLES["supply_rollup"] = "SELECT r_name, n_name, count(*) AS suppliers FROM supplier JOIN nation ON s_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY ROLLUP (r_name, n_name)"
 
 
-def _folder(spark: SparkSession) -> str:
-    import os
-    import tempfile
-
-    return spark.conf.get("spark.checkpoint.dir", None) or "file://" + os.path.join(tempfile.gettempdir(), "wfpath-checkpoints")
+_folder = baseline.shared_folder
 
 
 def _levels(spark: SparkSession, sf_dir: str) -> DataFrame:
