@@ -312,8 +312,11 @@ def random_spec(size: int, n_cycles: int = 3, cycle_len: int = 1, degree: int =
     return Spec.build("M0", rules)
 
 
-def _shaped(size: int, modules: int, composite: int, productions: int, recursive: int, deep: bool, seed: int) -> Spec:
-    """A specification with exactly these statistics; ``deep`` nests its composite modules, else they stand side by side."""
+def _shaped(size: int, modules: int, composite: int, productions: int, recursive: int, deep: bool, seed: int, fork: bool = False) -> Spec:
+    """A specification with exactly these statistics; ``deep`` nests its composite modules, else they stand side by side.
+
+    With ``fork`` the innermost recursion of a deep one is a fork: its next member stands beside the rest of the body.
+    """
     rng = random.Random(seed)
     names = [f"{'D' if deep else 'B'}{i}" for i in range(composite)]
     inner: dict[int, list[str]] = {i: [] for i in range(composite)}
@@ -350,7 +353,7 @@ def _shaped(size: int, modules: int, composite: int, productions: int, recursive
         own = word[at : at + n - len(b)]
         at += len(own)
         nodes = [own[0], *b, *own[1:]]
-        if deep:
+        if deep and not (fork and lhs == looped[-1] and onward[lhs] in b):
             edges = [(i, i + 1) for i in range(1, n)]
         else:
             middle = range(2, n)
@@ -363,9 +366,19 @@ def _shaped(size: int, modules: int, composite: int, productions: int, recursive
 DEEP, BRANCHY = (166, 112, 16, 23, 7), (105, 77, 11, 15, 5)
 
 
-def deep_like(seed: int = 0) -> Spec:
-    return _shaped(*DEEP, deep=True, seed=seed)
+def deep_like(seed: int = 0, fork: bool = False) -> Spec:
+    return _shaped(*DEEP, deep=True, seed=seed, fork=fork)
 
 
 def branchy_like(seed: int = 0) -> Spec:
     return _shaped(*BRANCHY, deep=False, seed=seed)
+
+
+def fork_tags(spec: Spec) -> list[str]:
+    """Tags whose star follows a chain: they lead into the recursive slot of a production whose head is an atomic module."""
+    slots = {(k, i) for c in spec.cycles for k, i in c.slots}
+    found = []
+    for p in spec.productions:
+        heads = [t for u, v, t in p.edges if (p.number, v) in slots and u == p.source and p.body[u - 1] not in spec.composite]
+        found += [t for t in heads if t not in found]
+    return found

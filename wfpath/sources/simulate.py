@@ -35,7 +35,7 @@ def derive(spec: Spec, target: int, seed: int, focus: int | None = None) -> tupl
     def toward(module: str) -> bool:
         return focus is not None and bool((spec._reachable(module) | {module}) & leads[focus])
 
-    def pick(module: str):
+    def pick(module: str, chain):
         options = spec.of(module)
         ends = [p for p in options if p.number not in recursive]
         on = [p for p in options if p.number in recursive]
@@ -45,7 +45,9 @@ def derive(spec: Spec, target: int, seed: int, focus: int | None = None) -> tupl
             return on[0]
         choices = ends or options
         if focus is not None:
-            choices = [p for p in choices if any(m in spec.composite and toward(m) for m in p.body)] or choices
+            leading = lambda some: [p for p in some if any(m in spec.composite and m != module and toward(m) for m in p.body)]
+            # a recursion that alone leads to the focus goes on once
+            choices = leading(choices) or (leading(on) if own != focus and chain and chain[2] == 1 else []) or choices
         return rng.choice(choices)
 
     # a node waiting for expansion: module, label, chain member (or None), and where its first and last nodes are told
@@ -66,7 +68,7 @@ def derive(spec: Spec, target: int, seed: int, focus: int | None = None) -> tupl
             c, t = spec.place[module]
             chain = (c, t, 1)
             label = [*label, (1, c, t, 1)]
-        p = pick(module)
+        p = pick(module, chain)
         made += len(p.edges)
         slot = dict(spec.cycles[chain[0] - 1].slots).get(p.number) if chain else None
         ids = {}
