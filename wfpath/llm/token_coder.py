@@ -22,7 +22,7 @@ import numpy as np
 
 U64, U32 = np.uint64, np.uint32
 BLOCK = 1024
-MAGIC = b"CM1\0"
+MAGIC = b"CM2\0"
 TOTAL = 1 << 16
 FIRST_BITS, SECOND_BITS, SLOT_BITS = 9, 10, 9
 NONE = 0xFFFFFFFF
@@ -30,39 +30,45 @@ LOW_MASK, RENEW = U64((1 << 48) - 1), U64(1 << 32)
 
 
 class Model:
-    """Predictions and event estimates of n blocks, side by side in flat tables."""
+    """Predictions and event estimates of n blocks, side by side in flat tables; four bytes a cell unless ids are ``wide``."""
 
-    def __init__(self, n: int) -> None:
-        self.n = n
+    def __init__(self, n: int, wide: bool) -> None:
+        self.n, self.kind = n, np.int64 if wide else np.int32
+        none = NONE << 2 if wide else TOTAL << 2
         # a predicted id and, in the low two bits, how well it has done
-        self.first, self.second = np.full(n << FIRST_BITS, NONE << 2, np.int64), np.full(n << SECOND_BITS, NONE << 2, np.int64)
-        self.recent = np.full(n << SLOT_BITS, NONE, U32)
+        self.first, self.second = np.full(n << FIRST_BITS, none, self.kind), np.full(n << SECOND_BITS, none, self.kind)
+        self.recent = np.full(n << SLOT_BITS, none >> 2, self.kind)
         lanes = np.arange(n, dtype=np.int64)
         self.base1, self.base2, self.base0, self.lanes = lanes << FIRST_BITS, lanes << SECOND_BITS, lanes << SLOT_BITS, lanes
         # how often each event was seen, by context: a row of four for every context and block
-        self.counts = [np.full((c * n, 4), 0.5) for c in (1, 4, 4)]
-        self.sums = [np.full(c * n, 2.0) for c in (1, 4, 4)]
-        self.weights = [np.full(n, 1.0 / 3) for _ in range(3)]
+        self.counts = [np.full((c * n, 4), 0.5, np.float32) for c in (1, 4, 4)]
+        self.sums = [np.full(c * n, 2.0, np.float32) for c in (1, 4, 4)]
+        self.weights = [np.full(n, 1.0 / 3, np.float32) for _ in range(3)]
         self.edges = np.zeros((5, n), np.int64)
         self.edges[4] = TOTAL
-        self.a = self.b = np.zeros(n, np.int64)
+        self.cells = lanes * 4
+        self.a = self.b = np.zeros(n, U32)
 
     def slots(self, ids: np.ndarray) -> np.ndarray:
         return ((ids * 40503) >> 3) & ((1 << SLOT_BITS) - 1)
 
     def predict(self) -> np.ndarray:
         """Cumulative frequencies of the four events, of TOTAL; also finds the predictions."""
-        n = self.n
-        self.at1 = self.base1 + (((self.b * 2654435761) >> 7) & ((1 << FIRST_BITS) - 1))
-        self.at2 = self.base2 + (((self.a * 2654435761 + self.b * 40503) >> 5) & ((1 << SECOND_BITS) - 1))
-        self.held1, self.held2 = self.first[self.at1], self.second[self.at2]
+        n, fetch = self.n, {"mode": "clip"}  # places are in range: clipping saves the check
+        spread = self.b * U32(2654435761)
+        self.at1 = self.base1 + (spread >> U32(32 - FIRST_BITS))
+        self.at2 = self.base2 + ((self.a * U32(2246822519) + (spread ^ (spread >> U32(15)))) * U32(3266489917) >> U32(32 - SECOND_BITS))
+        self.held1, self.held2 = self.first.take(self.at1, **fetch), self.second.take(self.at2, **fetch)
         self.p1, self.p2 = self.held1 >> 2, self.held2 >> 2
-        self.rows = [self.lanes, (self.held1 & 3) * n + self.lanes, (self.held2 & 3) * n + self.lanes]
-        self.seen = [c[r] for c, r in zip(self.counts, self.rows, strict=True)]
-        self.total = [s[r] for s, r in zip(self.sums, self.rows, strict=True)]
-        scale = (TOTAL - 8) / (self.weights[0] + self.weights[1] + self.weights[2])
-        f0, f1, f2 = ((w * scale / t)[:, None] * c for w, t, c in zip(self.weights, self.total, self.seen, strict=True))
-        mixed = (f0 + f1 + f2).astype(np.int64)
+        self.trust1, self.trust2 = self.held1 & 3, self.held2 & 3
+        self.rows = [self.lanes, self.trust1 * np.int64(n) + self.lanes, self.trust2 * np.int64(n) + self.lanes]
+        self.seen = [self.counts[0], *(c.take(r, 0, **fetch) for c, r in zip(self.counts[1:], self.rows[1:], strict=True))]
+        self.total = [self.sums[0], *(s.take(r, **fetch) for s, r in zip(self.sums[1:], self.rows[1:], strict=True))]
+        scale = np.float32(TOTAL - 8) / (self.weights[0] + self.weights[1] + self.weights[2])
+        mixed = (self.weights[0] * scale / self.total[0])[:, None] * self.seen[0]
+        for k in (1, 2):
+            mixed += (self.weights[k] * scale / self.total[k])[:, None] * self.seen[k]
+        mixed = mixed.astype(np.int32)
         edges = self.edges
         np.add(mixed[:, 0], 1, out=edges[1])
         np.add(edges[1] + 1, mixed[:, 1], out=edges[2])
@@ -71,26 +77,29 @@ class Model:
 
     def event(self, ids: np.ndarray, slots: np.ndarray) -> np.ndarray:
         """0: order 2 is right, 1: order 1, 2: the id is recent, 3: none of them."""
-        return np.where(self.p2 == ids, 0, np.where(self.p1 == ids, 1, 3 - (self.recent[self.base0 + slots] == ids)))
+        known = self.recent.take(self.base0 + slots, mode="clip") == ids
+        return np.where(self.p2 == ids, 0, np.where(self.p1 == ids, 1, 3 - known))
 
     def learn(self, event: np.ndarray, ids: np.ndarray, slots: np.ndarray) -> None:
-        shares = []
+        w, shares, one = self.weights, [], np.float32(1)
+        cell = self.cells + event
         for k in range(3):
             row, total = self.rows[k], self.total[k]
-            count = self.seen[k][self.lanes, event]
-            shares.append(count / total)
-            self.counts[k][row, event] = count + 1.0
-            self.sums[k][row] = total + 1.0
-        w = self.weights
-        w0, w1, w2 = w[0] * shares[0], w[1] * shares[1], w[2] * shares[2]
-        scale = 0.94 / (w0 + w1 + w2)
-        self.weights = [0.02 + w0 * scale, 0.02 + w1 * scale, 0.02 + w2 * scale]
-        for table, at, held, predicted in ((self.first, self.at1, self.held1, self.p1), (self.second, self.at2, self.held2, self.p2)):
-            trust = held & 3
+            count = self.seen[k].ravel().take(cell, mode="clip")
+            shares.append(w[k] * (count / total))
+            self.counts[k].ravel()[row * 4 + event] = count + one
+            if k:
+                self.sums[k][row] = total + one
+            else:
+                self.sums[0] = total + one
+        scale = np.float32(0.94) / (shares[0] + shares[1] + shares[2])
+        self.weights = [np.float32(0.02) + x * scale for x in shares]
+        fresh = (ids << 2) | 1
+        for table, at, held, predicted, trust in ((self.first, self.at1, self.held1, self.p1, self.trust1), (self.second, self.at2, self.held2, self.p2, self.trust2)):
             # right: trusted more; wrong: trusted less, and replaced once it isn't trusted
-            table[at] = np.where(predicted == ids, held + (trust < 3), np.where(trust > 1, held - 1, (ids << 2) | 1))
+            table[at] = np.where(predicted == ids, held + (trust < 3), np.where(trust > 1, held - 1, fresh))
         self.recent[self.base0 + slots] = ids
-        self.a, self.b = self.b, ids
+        self.a, self.b = self.b, ids.astype(U32)
 
 
 class Writer:
@@ -167,15 +176,16 @@ def encode(ids: np.ndarray, block: int = BLOCK) -> list[bytes]:
     n = -(-len(ids) // block)
     padded = np.zeros(n * block, np.int64)
     padded[: len(ids)] = ids
-    columns = np.ascontiguousarray(padded.reshape(n, block).T)
     wide = bool(ids.max() >= TOTAL)
-    model, out, whole, lanes = Model(n), Writer(n, block * (2 if wide else 1)), slice(None), np.arange(n)
+    columns = np.ascontiguousarray(padded.reshape(n, block).T.astype(np.int64 if wide else np.int32))
+    model, out, whole, lanes = Model(n, wide), Writer(n, block * (2 if wide else 1)), slice(None), np.arange(n)
     for x in columns:
         edge = model.predict()
         slots = model.slots(x)
         e = model.event(x, slots)
-        start = edge[e, lanes]
-        out.put(start, edge[e + 1, lanes] - start, whole)
+        at = e * n + lanes
+        start = edge.ravel().take(at, mode="clip")
+        out.put(start, edge.ravel().take(at + n, mode="clip") - start, whole)
         more = np.flatnonzero(e >= 2)
         if len(more):
             y, known = x[more], e[more] == 2
@@ -183,7 +193,7 @@ def encode(ids: np.ndarray, block: int = BLOCK) -> list[bytes]:
                 fresh = more[~known]
                 out.put(x[fresh] >> 16, np.ones(len(fresh), np.int64), fresh)
             shift = 16 - SLOT_BITS
-            out.put(np.where(known, slots[more] << shift, y & 0xFFFF), np.where(known, 1 << shift, 1), more)
+            out.put(np.where(known, slots[more] << shift, y & 0xFFFF).astype(np.int64), np.where(known, 1 << shift, 1), more)
         model.learn(e, x, slots)
     digits, used = out.end()
     found = []
@@ -213,14 +223,15 @@ def decode(blocks: list[bytes]) -> np.ndarray:
         digits[i, : h[2]] = np.frombuffer(b, "<u2", h[2], 20)
     # blocks shorter than the longest were padded by the encoder or run on zeros here; what they yield then is dropped
     digits = np.pad(digits, ((0, 0), (0, (3 * steps if counts.min() < steps else 0))))
-    out = np.zeros((steps, n), np.int64)
-    model, source, whole, lanes = Model(n), Reader(digits), slice(None), np.arange(n)
+    out = np.zeros((steps, n), U32)
+    model, source, whole, lanes = Model(n, wide), Reader(digits), slice(None), np.arange(n)
     for step in range(steps):
         edge = model.predict()
         f = source.peek(whole)
         e = (f >= edge[1]).astype(np.int64) + (f >= edge[2]) + (f >= edge[3])
-        start = edge[e, lanes]
-        source.take(start, edge[e + 1, lanes] - start, whole)
+        at = e * n + lanes
+        start = edge.ravel().take(at, mode="clip")
+        source.take(start, edge.ravel().take(at + n, mode="clip") - start, whole)
         x = np.where(e == 0, model.p2, model.p1)
         more = np.flatnonzero(e >= 2)
         if len(more):

@@ -25,7 +25,7 @@ from pyspark.sql import functions as F
 from wfpath.llm import shared, token_coder, tokens
 from wfpath.llm import textbytes as tb
 
-END_ID, GROUP = 2, 6 << 20
+END_ID, GROUP = 2, 12 << 20
 FORMAT = "part int, seq int, n_ids long, doc_ids array<long>, n_tokens array<long>, blocks array<binary>"
 
 
