@@ -3,6 +3,11 @@
 Quality rules drop documents, the n-gram join leaves one document of each group, suffix-array
 deduplication cuts later copies of long strings, mixing repeats or leaves out documents until
 every source has its share, and packing gives the token sequences.
+
+Nulls and edge cases: a null or empty text fails the first stage's base rule; a null doc_id is a
+document of its own, and of a group of near-duplicates the last one; rows that share a doc_id go
+or stay together where a stage decides by id (quality, near-duplicates) and are apart where it
+doesn't; columns beside those used pass through all stages but the last; empty tables give no rows.
 """
 
 from __future__ import annotations
