@@ -292,6 +292,7 @@ def repeats(texts: DataFrame, size: int = SIZE, gram: int = GRAM, keep_first: bo
         per_hash = found.groupBy("v").agg(F.count(F.lit(1)).alias("times"), F.max("again").alias("again"))
         per_hash = shared.materialised(per_hash.where("times > 1 OR again").select("v", "times"))
         likely = shared.materialised(shared.joined_by_count(found, per_hash, ["v"], "times"))
+        shared.dropped(found, per_hash)
         content = likely.groupBy("v", "h", "n").agg(F.count(F.lit(1)).alias("times"), F.min(F.struct("doc", "rid", "s")).alias("least"), F.max("again").alias("again"))
         content = shared.materialised(content)
         per_collection = content.groupBy("v").agg(F.count(F.lit(1)).alias("kinds"), F.sum(F.col("n") + size - 1).alias("bytes"), F.max("again").alias("any_again"))
