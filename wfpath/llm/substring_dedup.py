@@ -86,6 +86,7 @@ def repeats(texts: DataFrame, size: int = SIZE, combine: bool = True) -> DataFra
     per_hash = found.groupBy("v").agg(F.count(F.lit(1)).alias("times"), F.min("doc").alias("d0"), F.max("doc").alias("d1"), F.min("h").alias("h0"), F.max("h").alias("h1"), F.min("n").alias("n0"), F.max("n").alias("n1"))
     common = shared.materialised(per_hash.where("d0 <> d1").select("v", "times", ((F.col("h0") != F.col("h1")) | (F.col("n0") != F.col("n1"))).alias("differ")))
     likely = shared.materialised(shared.joined_by_count(found, common, ["v"], "times"))
+    shared.dropped(found, common)
     content = shared.materialised(likely.groupBy("v", "h", "n").agg(F.count(F.lit(1)).alias("times"), F.min("doc").alias("least")))
     placed = shared.joined_by_count(likely, content, ["v", "h", "n"], "times")
     whole = placed.where("least < doc").select("doc", "rid", "s", "n")
