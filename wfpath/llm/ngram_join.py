@@ -185,6 +185,7 @@ def common_shingles(texts: DataFrame, n_docs: int, size: int = WORDS, sample: in
     above = counted.groupBy("count").agg(F.count(F.lit(1)).alias("n")).select("count", F.sum("n").over(Window.orderBy(F.desc("count"))).alias("upto"))
     lowest = above.where(F.col("upto") <= most).agg(F.min("count").alias("c")).first()["c"]
     found = counted.where(F.col("count") >= (lowest if lowest is not None else 1 << 62)).select("shingle").toArrow().column("shingle").to_numpy()
+    shared.dropped(counted)
     return np.sort(found.astype(np.int64).view(U64))
 
 
@@ -326,7 +327,8 @@ def linked(texts: DataFrame, size: int = WORDS, margin: float = MARGIN) -> tuple
     fullest = F.row_number().over(Window.partitionBy("g", "role").orderBy(F.desc("members"), "sig"))
     weighed = shared.materialised(weighed.withColumn("active", fullest > F.col("spare")).drop("spare"))
     any_active = weighed.groupBy("sig").agg(F.max("active").alias("used")).where("used").select("sig")
-    buckets = shared.materialised(weighed.join(any_active, "sig"))
+    all_buckets, buckets = buckets, shared.materialised(weighed.join(any_active, "sig"))
+    shared.dropped(weighed)
     rest = shared.materialised(_rest(firsts, uncovered, size)) if uncovered.limit(1).count() else None
 
     def sets(batches):
@@ -345,6 +347,7 @@ def linked(texts: DataFrame, size: int = WORDS, margin: float = MARGIN) -> tuple
         wanted = wanted.union(rest.select("a")).union(rest.select("b"))
     arrays = firsts.join(wanted.distinct(), "g").select("g", "n", "doc", "text").mapInArrow(sets, "g long, n long, doc long, hashes binary")
     arrays = shared.materialised(arrays)
+    shared.dropped(firsts, all_buckets)
     side = lambda x: arrays.select(F.col("g").alias(x), F.col("n").alias(f"n{x}"), F.col("doc").alias(f"d{x}"), F.col("hashes").alias(f"s{x}"))
     slim = lambda x: arrays.select(F.col("g").alias(x), F.col("n").alias(f"n{x}"))
 
