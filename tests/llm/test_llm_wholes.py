@@ -74,8 +74,8 @@ def test_repeated_bytes_by_brute_force(spark):
 def test_large_and_long_texts(spark):
     """Texts over the parts' size, and a collection over the largest one: the same bytes go as by a dictionary."""
     rng = np.random.default_rng(2)
-    passage = bytes(rng.integers(97, 123, 700)).decode()
-    long = bytes(rng.integers(97, 123, suffix_dedup.PART + 5000)).decode()
+    passage = rng.integers(97, 123, 700).astype(np.uint8).tobytes().decode()
+    long = rng.integers(97, 123, suffix_dedup.PART + 5000).astype(np.uint8).tobytes().decode()
     rows = [(1, long[:-300] + passage), (2, "x" * 100 + passage + "y" * 20), (3, long[suffix_dedup.PART - 400 : suffix_dedup.PART + 400])]
     docs = spark.createDataFrame(rows, "doc_id long, text string")
     got = {r["doc"]: suffix_dedup.kept_bytes(r["text"].encode(), r["marks"], 200)[1] for r in suffix_dedup.marked(docs).collect()}
