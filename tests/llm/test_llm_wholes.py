@@ -76,7 +76,7 @@ def test_large_and_long_texts(spark):
     rng = np.random.default_rng(2)
     passage = rng.integers(97, 123, 700).astype(np.uint8).tobytes().decode()
     long = rng.integers(97, 123, suffix_dedup.PART + 5000).astype(np.uint8).tobytes().decode()
-    rows = [(1, long[:-300] + passage), (2, "x" * 100 + passage + "y" * 20), (3, long[suffix_dedup.PART - 400 : suffix_dedup.PART + 400])]
+    rows = [(1, long[:-300] + passage), (2, "X" * 100 + passage + "Y" * 20), (3, long[suffix_dedup.PART - 400 : suffix_dedup.PART + 400])]
     docs = spark.createDataFrame(rows, "doc_id long, text string")
     got = {r["doc"]: suffix_dedup.kept_bytes(r["text"].encode(), r["marks"], 200)[1] for r in suffix_dedup.marked(docs).collect()}
     assert got == {1: 700 + 800, 2: 700, 3: 800}
